@@ -7,7 +7,7 @@ from collections.abc import Callable
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from strata.llm import byte_bpe, token_counts
+from strata.llm import byte_bpe, decontaminate, mixing, near_dup, secrets, token_counts
 from strata.llm.common import read, sha_hex
 
 TOKEN_LIMIT = 2048
@@ -19,6 +19,18 @@ def vocabulary(name: str) -> str:
     return public_tokenizers.path(name)
 
 
+def op3_secret_scan(spark: SparkSession, sf_dir: str) -> DataFrame:
+    docs = read(spark, sf_dir, "documents")
+    found = secrets.scan_secrets(docs, secrets.fit(docs))
+    spans = F.col("spans")
+
+    def n(kind):
+        return F.size(F.filter(spans, lambda s: s["kind"] == kind)).cast("long").alias(f"n_{kind}")
+
+    rules = secrets.digest(spans, secrets.KINDS[:3])
+    return found.select("doc_id", *(n(k) for k in secrets.KINDS), sha_hex(rules).alias("base_sha256"), secrets.digest(spans, secrets.KINDS).alias("spans"))
+
+
 def op4_token_counts(spark: SparkSession, sf_dir: str) -> DataFrame:
     return token_counts.count_tokens(read(spark, sf_dir, "documents"), vocabulary("word_bpe_49k.json"), TOKEN_LIMIT)
 
@@ -33,8 +45,20 @@ def op5_byte_bpe(spark: SparkSession, sf_dir: str) -> DataFrame:
     return decoded.select("doc_id", "n_tokens", "ids_sha256", sha_hex(F.col("decoded")).alias("decoded_sha256"))
 
 
+def op6_near_duplicates(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return near_dup.near_duplicates(read(spark, sf_dir, "documents"), width=2, percent=80)
+
+
+def op9_decontamination(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return decontaminate.find_items(read(spark, sf_dir, "documents"), read(spark, sf_dir, "benchmark"))
+
+
+def op10_context_mixing(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return mixing.score_texts(read(spark, sf_dir, "documents"))
+
+
 def queries() -> dict[str, Callable[[SparkSession, str], DataFrame]]:
-    return {f.__name__: f for f in (op4_token_counts, op5_byte_bpe)}
+    return {f.__name__: f for f in (op3_secret_scan, op4_token_counts, op5_byte_bpe, op6_near_duplicates, op9_decontamination, op10_context_mixing)}
 
 
 def oracle_sql() -> dict[str, str]:
