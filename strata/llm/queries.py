@@ -7,7 +7,7 @@ from collections.abc import Callable
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from strata.llm import byte_bpe, decontaminate, mixing, near_dup, secrets, token_counts
+from strata.llm import byte_bpe, decontaminate, mixing, near_dup, quality, secrets, token_counts
 from strata.llm.common import read, sha_hex
 
 TOKEN_LIMIT = 2048
@@ -19,6 +19,10 @@ def vocabulary(name: str) -> str:
     return public_tokenizers.path(name)
 
 
+def op2_quality_rules(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return quality.verdicts(read(spark, sf_dir, "documents"))
+
+
 def op3_secret_scan(spark: SparkSession, sf_dir: str) -> DataFrame:
     docs = read(spark, sf_dir, "documents")
     found = secrets.scan_secrets(docs, secrets.fit(docs))
@@ -58,8 +62,8 @@ def op10_context_mixing(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 
 def queries() -> dict[str, Callable[[SparkSession, str], DataFrame]]:
-    return {f.__name__: f for f in (op3_secret_scan, op4_token_counts, op5_byte_bpe, op6_near_duplicates, op9_decontamination, op10_context_mixing)}
+    return {f.__name__: f for f in (op2_quality_rules, op3_secret_scan, op4_token_counts, op5_byte_bpe, op6_near_duplicates, op9_decontamination, op10_context_mixing)}
 
 
 def oracle_sql() -> dict[str, str]:
-    return {}
+    return {"op2_quality_rules": quality.ORACLE_SQL}
