@@ -7,7 +7,7 @@ from collections.abc import Callable
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from strata.llm import byte_bpe, decontaminate, mixing, near_dup, quality, secrets, token_counts
+from strata.llm import byte_bpe, decontaminate, kd_shards, mixing, near_dup, quality, secrets, token_counts
 from strata.llm.common import read, sha_hex
 
 TOKEN_LIMIT = 2048
@@ -53,6 +53,11 @@ def op6_near_duplicates(spark: SparkSession, sf_dir: str) -> DataFrame:
     return near_dup.near_duplicates(read(spark, sf_dir, "documents"), width=2, percent=80)
 
 
+def op7_kd_shards(spark: SparkSession, sf_dir: str) -> DataFrame:
+    placed = kd_shards.shard(read(spark, sf_dir, "documents"), shards=8)
+    return placed.select("doc_id", "size", "text_crc32", F.lit("bytes").alias("law"), F.col("shard").cast("int"), "slot", F.lit(None).cast("int").alias("grown_shard"))
+
+
 def op9_decontamination(spark: SparkSession, sf_dir: str) -> DataFrame:
     return decontaminate.find_items(read(spark, sf_dir, "documents"), read(spark, sf_dir, "benchmark"))
 
@@ -62,7 +67,7 @@ def op10_context_mixing(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 
 def queries() -> dict[str, Callable[[SparkSession, str], DataFrame]]:
-    return {f.__name__: f for f in (op2_quality_rules, op3_secret_scan, op4_token_counts, op5_byte_bpe, op6_near_duplicates, op9_decontamination, op10_context_mixing)}
+    return {f.__name__: f for f in (op2_quality_rules, op3_secret_scan, op4_token_counts, op5_byte_bpe, op6_near_duplicates, op7_kd_shards, op9_decontamination, op10_context_mixing)}
 
 
 def oracle_sql() -> dict[str, str]:
