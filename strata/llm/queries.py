@@ -7,7 +7,7 @@ from collections.abc import Callable
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from strata.llm import byte_bpe, decontaminate, kd_shards, mixing, near_dup, quality, secrets, token_counts
+from strata.llm import byte_bpe, decontaminate, kd_shards, mixing, near_dup, pii, quality, secrets, token_counts
 from strata.llm.common import read, sha_hex
 
 TOKEN_LIMIT = 2048
@@ -19,6 +19,10 @@ def vocabulary(name: str) -> str:
     return public_tokenizers.path(name)
 
 
+def of_kind(spans, kind: str):
+    return F.size(F.filter(spans, lambda s: s["kind"] == kind)).cast("long").alias(f"n_{kind}")
+
+
 def op2_quality_rules(spark: SparkSession, sf_dir: str) -> DataFrame:
     return quality.verdicts(read(spark, sf_dir, "documents"))
 
@@ -27,12 +31,8 @@ def op3_secret_scan(spark: SparkSession, sf_dir: str) -> DataFrame:
     docs = read(spark, sf_dir, "documents")
     found = secrets.scan_secrets(docs, secrets.fit(docs))
     spans = F.col("spans")
-
-    def n(kind):
-        return F.size(F.filter(spans, lambda s: s["kind"] == kind)).cast("long").alias(f"n_{kind}")
-
     rules = secrets.digest(spans, secrets.KINDS[:3])
-    return found.select("doc_id", *(n(k) for k in secrets.KINDS), sha_hex(rules).alias("base_sha256"), secrets.digest(spans, secrets.KINDS).alias("spans"))
+    return found.select("doc_id", *(of_kind(spans, k) for k in secrets.KINDS), sha_hex(rules).alias("base_sha256"), secrets.digest(spans, secrets.KINDS).alias("spans"))
 
 
 def op4_token_counts(spark: SparkSession, sf_dir: str) -> DataFrame:
@@ -58,6 +58,12 @@ def op7_kd_shards(spark: SparkSession, sf_dir: str) -> DataFrame:
     return placed.select("doc_id", "size", "text_crc32", F.lit("bytes").alias("law"), F.col("shard").cast("int"), "slot", F.lit(None).cast("int").alias("grown_shard"))
 
 
+def op8_pii(spark: SparkSession, sf_dir: str) -> DataFrame:
+    docs = read(spark, sf_dir, "documents")
+    found = pii.find(docs, pii.fit(docs))
+    return found.select("doc_id", *(of_kind(F.col("rules"), k) for k in pii.KINDS), F.size("added").cast("long").alias("n_added"), sha_hex(pii.digest(F.col("rules"))).alias("base_sha256"), pii.digest(F.concat("rules", "added")).alias("spans"))
+
+
 def op9_decontamination(spark: SparkSession, sf_dir: str) -> DataFrame:
     return decontaminate.find_items(read(spark, sf_dir, "documents"), read(spark, sf_dir, "benchmark"))
 
@@ -67,7 +73,7 @@ def op10_context_mixing(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 
 def queries() -> dict[str, Callable[[SparkSession, str], DataFrame]]:
-    return {f.__name__: f for f in (op2_quality_rules, op3_secret_scan, op4_token_counts, op5_byte_bpe, op6_near_duplicates, op7_kd_shards, op9_decontamination, op10_context_mixing)}
+    return {f.__name__: f for f in (op2_quality_rules, op3_secret_scan, op4_token_counts, op5_byte_bpe, op6_near_duplicates, op7_kd_shards, op8_pii, op9_decontamination, op10_context_mixing)}
 
 
 def oracle_sql() -> dict[str, str]:
