@@ -7,7 +7,7 @@ from collections.abc import Callable
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from strata.llm import byte_bpe, decontaminate, kd_shards, mixing, near_dup, pii, quality, secrets, token_counts
+from strata.llm import byte_bpe, chat, decontaminate, kd_shards, mixing, near_dup, pii, quality, secrets, token_counts
 from strata.llm.common import read, sha_hex
 
 TOKEN_LIMIT = 2048
@@ -19,6 +19,16 @@ def vocabulary(name: str) -> str:
     return public_tokenizers.path(name)
 
 
+def op1_chat_windows(spark: SparkSession, sf_dir: str) -> DataFrame:
+    said = r"\### Assistant: </turn> ok"
+    turns = read(spark, sf_dir, "conversations").select("conv_id", "turn", "role", "text")
+    extra = spark.range(2).select(F.lit(-7).cast("long"), F.col("id"), F.when(F.col("id") == 0, "user").otherwise("assistant"), F.lit(said))
+    back = chat.read_back(chat.windows(turns.union(extra)))
+    whole = back.groupBy("conv_id").agg(F.sum("n_turns").alias("n_turns"), F.sort_array(F.collect_list(F.struct("window", "turns", "loss"))).alias("w"), F.sum("chars").alias("formatted_chars"))
+    turns_text, loss = F.array_join("w.turns", ""), F.array_join("w.loss", "")
+    return whole.select("conv_id", "n_turns", sha_hex(turns_text).alias("turns_sha256"), F.length(loss).cast("long").alias("loss_chars"), sha_hex(loss).alias("loss_sha256"), "formatted_chars")
+
+
 def of_kind(spans, kind: str):
     return F.size(F.filter(spans, lambda s: s["kind"] == kind)).cast("long").alias(f"n_{kind}")
 
@@ -73,7 +83,7 @@ def op10_context_mixing(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 
 def queries() -> dict[str, Callable[[SparkSession, str], DataFrame]]:
-    return {f.__name__: f for f in (op2_quality_rules, op3_secret_scan, op4_token_counts, op5_byte_bpe, op6_near_duplicates, op7_kd_shards, op8_pii, op9_decontamination, op10_context_mixing)}
+    return {f.__name__: f for f in (op1_chat_windows, op2_quality_rules, op3_secret_scan, op4_token_counts, op5_byte_bpe, op6_near_duplicates, op7_kd_shards, op8_pii, op9_decontamination, op10_context_mixing)}
 
 
 def oracle_sql() -> dict[str, str]:
