@@ -134,36 +134,54 @@ class Matcher:
         return self.verified[key]
 
 
-def find_items(docs: DataFrame, items: DataFrame, error_rate: float = 0.08, longest: int = 160, shortest: int = 24, piece: int = 12, id_column: str = "doc_id", text_column: str = "text", item_column: str = "item_id", item_text: str = "text") -> DataFrame:
+SETTINGS = {"error_rate": 0.08, "longest": 160, "shortest": 24, "piece": 12}
+
+
+def _matchers(items: DataFrame, item_column: str, item_text: str, settings: dict):
+    """For each block of items, a function that gives a worker its matcher."""
+    size = items.agg(F.sum(F.octet_length(item_text))).first()[0] or 0
+    n_blocks, run = max(1, -(-size // BLOCK_BYTES)), uuid.uuid4().hex
+    made = []
+    for block in range(n_blocks):
+        part = items.filter(F.col(item_column).isNotNull() & (F.pmod(F.xxhash64(item_column, item_text), F.lit(n_blocks)) == block))
+        own = items.sparkSession.sparkContext.broadcast(sorted((r[0], r[1] or "") for r in part.select(item_column, item_text).collect()))
+        made.append(lambda own=own, block=block: worker_cache(f"matcher {run} {block}", lambda: Matcher(own.value, **settings)))
+    return made
+
+
+def find_items(docs: DataFrame, items: DataFrame, id_column: str = "doc_id", text_column: str = "text", item_column: str = "item_id", item_text: str = "text", **settings) -> DataFrame:
     """One row per document: its id, the item_ids it contains (ascending), n_items, the least
     distance (null if none) and contaminated.
 
-    `error_rate` of a unit's length is its error budget, kept so low that pieces have `piece`
-    code points; `longest` bounds a unit.
+    `settings` go over SETTINGS: `error_rate` of a unit's length is its error budget, kept so
+    low that pieces have `piece` code points; `longest` bounds a unit.
     """
-    size = items.agg(F.sum(F.octet_length(item_text))).first()[0] or 0
-    n_blocks = max(1, -(-size // BLOCK_BYTES))
     kind = docs.schema[id_column].dataType.simpleString()
-    result, run = None, uuid.uuid4().hex
-    for block in range(n_blocks):
-        part = items.filter(F.col(item_column).isNotNull() & (F.pmod(F.xxhash64(item_column, item_text), F.lit(n_blocks)) == block))
-        own = docs.sparkSession.sparkContext.broadcast(sorted((r[0], r[1] or "") for r in part.select(item_column, item_text).collect()))
-        settings = (error_rate, longest, shortest, piece)
+    d = docs.select(F.col(id_column), F.col(text_column).alias("_text"), F.array().cast("array<long>").alias("item_ids"), F.lit(None).cast("int").alias("distance"))
+    for matcher in _matchers(items, item_column, item_text, SETTINGS | settings):
 
-        def kernel(batches: Iterator[dict], own=own, settings=settings, block=block) -> Iterator[dict]:
-            matcher = worker_cache(f"matcher {run} {block}", lambda: Matcher(own.value, *settings))
+        def kernel(batches: Iterator[dict], matcher=matcher) -> Iterator[dict]:
+            own = matcher()
             for b in batches:
-                found = [matcher.find(t) for t in b[text_column]]
-                yield {id_column: b[id_column], "item_ids": [sorted(f) for f in found], "distance": [min(f.values()) if f else None for f in found]}
+                found = [own.find(t) for t in b["_text"]]
+                ids = [sorted({*before, *f}) for before, f in zip(b["item_ids"], found, strict=True)]
+                least = [min((x for x in (before, *f.values()) if x is not None), default=None) for before, f in zip(b["distance"], found, strict=True)]
+                yield b | {"item_ids": ids, "distance": least}
 
-        one = map_texts(docs, [id_column, text_column], kernel, f"{id_column} {kind}, item_ids array<long>, distance int")
-        result = one if result is None else result.unionByName(one)
-    if n_blocks > 1:  # rows of one document meet again; the text tells repeated ids apart no further
-        result = result.groupBy(id_column).agg(F.array_sort(F.array_distinct(F.flatten(F.collect_list("item_ids")))).alias("item_ids"), F.min("distance").alias("distance"))
-    return result.select(id_column, "item_ids", F.size("item_ids").cast("long").alias("n_items"), "distance", (F.size("item_ids") > 0).alias("contaminated"))
+        d = map_texts(d, d.columns, kernel, f"{id_column} {kind}, _text string, item_ids array<long>, distance int")
+    return d.select(id_column, "item_ids", F.size("item_ids").cast("long").alias("n_items"), "distance", (F.size("item_ids") > 0).alias("contaminated"))
 
 
-def clean(docs: DataFrame, items: DataFrame, id_column: str = "doc_id", text_column: str = "text", **settings) -> DataFrame:
+def clean(docs: DataFrame, items: DataFrame, text_column: str = "text", item_column: str = "item_id", item_text: str = "text", **settings) -> DataFrame:
     """The documents that contain no item, with all their columns."""
-    gone = find_items(docs, items, id_column=id_column, text_column=text_column, **settings).filter("contaminated").select(id_column)
-    return docs.join(gone, id_column, "left_anti")
+    schema = ", ".join(f"`{f.name}` {f.dataType.simpleString()}" for f in docs.schema)
+    for matcher in _matchers(items, item_column, item_text, SETTINGS | settings):
+
+        def kernel(batches: Iterator[dict], matcher=matcher) -> Iterator[dict]:
+            own = matcher()
+            for b in batches:
+                keep = [k for k, t in enumerate(b[text_column]) if not own.find(t)]
+                yield {c: [v[k] for k in keep] for c, v in b.items()}
+
+        docs = map_texts(docs, docs.columns, kernel, schema)
+    return docs
