@@ -20,8 +20,8 @@ from pyspark.sql import DataFrame
 
 from strata.llm.common import map_texts, worker_cache
 
-#: Pre-tokens that a worker remembers before it starts anew, and the longest it keeps.
-MOST_KNOWN, LONGEST_KNOWN = 500_000, 64
+#: Pre-tokens in each half of what a worker remembers, and the longest it keeps.
+MOST_KNOWN, LONGEST_KNOWN = 450_000, 64
 
 
 def parse_ranks(lines: Iterable[bytes]) -> dict[bytes, int]:
@@ -87,46 +87,58 @@ class Codec:
         self.whole = PerfectHash(list(ranks))
         self.slot_id = [-1 if key is None else ranks[key] for key in self.whole.slots]
         self.token = {r: key for key, r in ranks.items()}
+        self.number = {r: r for r in self.token}  # one object per id, however many words hold it
+        self.byte_id = [ranks.get(bytes([b])) for b in range(256)]
+        #: Two ids as one number, to the id of their bytes together.
+        self.joined = {x << 20 | y: r for key, r in ranks.items() for k in range(1, len(key)) if (x := ranks.get(key[:k])) is not None and (y := ranks.get(key[k:])) is not None}
         self.find = regex.compile(pattern).findall
         self.known: dict[str, tuple[int, ...]] = {}
+        self.older: dict[str, tuple[int, ...]] = {}
 
     def merge(self, piece: bytes) -> tuple[int, ...]:
-        """Always the lowest rank first, leftmost among equals."""
-        ranks, n = self.ranks, len(piece)
-        part: list[bytes | None] = [piece[k : k + 1] for k in range(n)]
+        """Always the lowest rank first, leftmost among equals. Ids name the pieces; a merged-away place holds -1."""
+        n, joined = len(piece), self.joined.get
+        part = list(map(self.byte_id.__getitem__, piece))
         after, before = list(range(1, n + 1)), list(range(-1, n - 1))
-        heap = [(r, k, 2) for k in range(n - 1) if (r := ranks.get(piece[k : k + 2])) is not None]
+        wide = n.bit_length()  # an entry is one number: rank and place
+        low = (1 << wide) - 1
+        heap = [r << wide | k for k in range(n - 1) if (r := joined(part[k] << 20 | part[k + 1])) is not None]
         heapify(heap)
         while heap:
-            _, k, length = heappop(heap)
-            left = part[k]
-            if left is None or (j := after[k]) >= n or len(left) + len(part[j]) != length:
+            entry = heappop(heap)
+            k, r = entry & low, entry >> wide
+            if part[k] < 0 or (j := after[k]) >= n or joined(part[k] << 20 | part[j]) != r:
                 continue  # one of the two has changed since
-            left = part[k] = left + part[j]
-            part[j] = None
+            part[k], part[j] = r, -1
             after[k] = j = after[j]
             if j < n:
                 before[j] = k
-                if (r := ranks.get(left + part[j])) is not None:
-                    heappush(heap, (r, k, len(left) + len(part[j])))
-            if (i := before[k]) >= 0 and (r := ranks.get(part[i] + left)) is not None:
-                heappush(heap, (r, i, len(part[i]) + len(left)))
-        return tuple(ranks[p] for p in part if p is not None)
+                if (x := joined(r << 20 | part[j])) is not None:
+                    heappush(heap, x << wide | k)
+            if (i := before[k]) >= 0 and (x := joined(part[i] << 20 | r)) is not None:
+                heappush(heap, x << wide | i)
+        return tuple([self.number[p] for p in part if p >= 0])
 
     def lookup(self, word: str) -> tuple[int, ...]:
-        piece = word.encode("utf-8", "surrogatepass")
-        slot = self.whole.slot(piece)
-        ids = (self.slot_id[slot],) if slot >= 0 else self.merge(piece)
+        ids = self.older.get(word)
+        if ids is None:
+            piece = word.encode("utf-8", "surrogatepass")
+            slot = self.whole.slot(piece)
+            ids = (self.number[self.slot_id[slot]],) if slot >= 0 else self.merge(piece)
         if len(word) <= LONGEST_KNOWN:
-            if len(self.known) >= MOST_KNOWN:
-                self.known.clear()
+            if len(self.known) >= MOST_KNOWN:  # words in use come back from the older half
+                self.known, self.older = {}, self.known
             self.known[word] = ids
         return ids
 
     def encode_into(self, text: str, out: list[int]) -> None:
         known, lookup = self.known, self.lookup
         for word in self.find(text):
-            out += known.get(word) or lookup(word)
+            ids = known.get(word)
+            if ids is None:
+                ids = lookup(word)
+                known = self.known
+            out += ids
 
     def encode(self, text: str) -> list[int]:
         out: list[int] = []
@@ -137,22 +149,21 @@ class Codec:
         return b"".join(map(self.token.__getitem__, ids))
 
 
-def _codec(spark, ranks_path: str, pattern: str):
-    """A function that gives a worker its codec. The vocabulary goes to it once, as the file's bytes."""
+def _vocabulary(spark, ranks_path: str):
+    """The file's bytes go to each worker once."""
     with open(ranks_path, "rb") as f:
-        raw = spark.sparkContext.broadcast(f.read())
-    return lambda: worker_cache(f"codec {ranks_path} {pattern}", lambda: Codec(parse_ranks(raw.value.splitlines()), pattern))
+        return spark.sparkContext.broadcast(f.read())
 
 
 def encode(docs: DataFrame, ranks_path: str, pattern: str, id_column: str = "doc_id", text_column: str = "text") -> DataFrame:
     """One row per document: its id and `ids`, the token ids of its whole text."""
-    codec = _codec(docs.sparkSession, ranks_path, pattern)
+    raw = _vocabulary(docs.sparkSession, ranks_path)
 
     def kernel(batches: Iterator[dict]) -> Iterator[dict]:
         import numpy as np
         import pyarrow as pa
 
-        encoder = codec()
+        encoder = worker_cache(f"codec {ranks_path} {pattern}", lambda: Codec(parse_ranks(raw.value.splitlines()), pattern))
         for b in batches:
             flat, ends = [], [0]
             for text in b[text_column]:
@@ -164,15 +175,15 @@ def encode(docs: DataFrame, ranks_path: str, pattern: str, id_column: str = "doc
     return map_texts(docs, [id_column, text_column], kernel, f"{id_column} {docs.schema[id_column].dataType.simpleString()}, ids array<int>")
 
 
-def decode(encoded: DataFrame, ranks_path: str, pattern: str, id_column: str = "doc_id", ids_column: str = "ids", keep: tuple[str, ...] = ()) -> DataFrame:
+def decode(encoded: DataFrame, ranks_path: str, id_column: str = "doc_id", ids_column: str = "ids", keep: tuple[str, ...] = ()) -> DataFrame:
     """One row per row of `encoded`: its id, the columns in `keep`, and `decoded`, the bytes that the ids stand for."""
-    codec = _codec(encoded.sparkSession, ranks_path, pattern)
+    raw = _vocabulary(encoded.sparkSession, ranks_path)
     names = [id_column, *keep]
     schema = ", ".join(f"{c} {encoded.schema[c].dataType.simpleString()}" for c in names)
 
     def kernel(batches: Iterator[dict]) -> Iterator[dict]:
-        decoder = codec()
+        token = worker_cache(f"tokens {ranks_path}", lambda: {r: key for key, r in parse_ranks(raw.value.splitlines()).items()}).__getitem__
         for b in batches:
-            yield {c: b[c] for c in names} | {"decoded": [decoder.decode(ids or ()) for ids in b[ids_column]]}
+            yield {c: b[c] for c in names} | {"decoded": [b"" if ids is None else b"".join(map(token, ids.tolist())) for ids in b[ids_column]]}
 
     return map_texts(encoded, [*names, *([ids_column] if ids_column not in names else [])], kernel, f"{schema}, decoded binary")

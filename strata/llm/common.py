@@ -54,12 +54,19 @@ def map_texts(df: DataFrame, columns: list[str], kernel: Callable[[Iterator[dict
     def run(batches):
         import pyarrow as pa
 
+        def values(column):
+            """A list; of numpy arrays where the column holds lists of integers."""
+            if not (pa.types.is_list(column.type) and pa.types.is_integer(column.type.value_type)):
+                return column.to_pylist()
+            ends, flat = column.offsets.to_pylist(), column.values.to_numpy(zero_copy_only=False)
+            return [None if null else flat[a:b] for a, b, null in zip(ends, ends[1:], column.is_null().to_pylist())]
+
         def slices():
             for batch in batches:
                 step = max(1, min(batch.num_rows, int(batch.num_rows * 8e6 / max(1, batch.nbytes)) + 1))
                 for at in range(0, batch.num_rows, step):
                     part = batch.slice(at, step)
-                    yield {c: part.column(k).to_pylist() for k, c in enumerate(columns)}
+                    yield {c: values(part.column(k)) for k, c in enumerate(columns)}
 
         for result in kernel(slices()):
             yield pa.RecordBatch.from_arrays([x.cast(f.type) if isinstance(x := result[f.name], pa.Array) else pa.array(x, f.type) for f in out], schema=out)

@@ -164,7 +164,7 @@ def find_items(docs: DataFrame, items: DataFrame, id_column: str = "doc_id", tex
             own = matcher()
             for b in batches:
                 found = [own.find(t) for t in b["_text"]]
-                ids = [sorted({*before, *f}) for before, f in zip(b["item_ids"], found, strict=True)]
+                ids = [sorted({*before.tolist(), *f}) for before, f in zip(b["item_ids"], found, strict=True)]
                 least = [min((x for x in (before, *f.values()) if x is not None), default=None) for before, f in zip(b["distance"], found, strict=True)]
                 yield b | {"item_ids": ids, "distance": least}
 

@@ -55,7 +55,7 @@ def op5_byte_bpe(spark: SparkSession, sf_dir: str) -> DataFrame:
     ranks, pattern = vocabulary("byte_bpe_multi_50k.tiktoken"), public_tokenizers.PATTERN
     encoded = byte_bpe.encode(read(spark, sf_dir, "documents"), ranks, pattern)
     digested = encoded.select("doc_id", "ids", F.size("ids").cast("long").alias("n_tokens"), sha_hex(F.array_join("ids", ",")).alias("ids_sha256"))
-    decoded = byte_bpe.decode(digested, ranks, pattern, keep=("n_tokens", "ids_sha256"))
+    decoded = byte_bpe.decode(digested, ranks, keep=("n_tokens", "ids_sha256"))
     return decoded.select("doc_id", "n_tokens", "ids_sha256", sha_hex(F.col("decoded")).alias("decoded_sha256"))
 
 
