@@ -318,3 +318,64 @@ def w7_rounds(s, d):
     ps = ps_of(s, d, "gauss3k")
     r = kmeans.iterative_kmeans(ps, 4, _C)
     return s.createDataFrame([(r.rounds, r.trace[-1][1])], "rounds int, sse long")
+
+
+@query("w6_shuffle_growth")
+def w6_shuffle_growth(s, d):
+    """Milliseconds to deal out growing shares of a table by key."""
+    import time
+
+    df = fn.table(s, d, "lineitem")
+    n, out = df.count(), []
+    for share in (100, 10, 1):
+        t = time.perf_counter()
+        got = df.filter(F.pmod("l_orderkey", F.lit(share)) == 0).repartition(8, "l_partkey").groupBy(F.spark_partition_id()).count().agg(F.sum("count")).first()[0]
+        out.append((n // share, int(got or 0), int(1000 * (time.perf_counter() - t))))
+    return s.createDataFrame(out, "about long, shuffled long, ms long")
+
+
+@query("tradeoff")
+def tradeoff(s, d):
+    """Time and error of more subsets, against the fewest."""
+    import time
+
+    ps, runs = ps_of(s, d, "gauss3k"), []
+    c0, n = kmeans.of_ids(ps, _S1), ps.count()
+    for depth in (9, 7, 5):
+        t = time.perf_counter()
+        r = kmeans.subset_kmeans(ps, 4, c0, regions=1 << depth, n=n)
+        runs.append((n >> depth, int(1000 * (time.perf_counter() - t)), int(kmeans.sse(ps, r.centroids).first()[0])))
+    return measures.tradeoff(s.createDataFrame(runs, "subsets int, ms long, sse long"))
+
+
+@query("centroid_match")
+def centroid_match(s, d):
+    """How far the method's centroids lie from one machine's, best pairing."""
+    ps = ps_of(s, d, "gauss3k")
+    c0 = kmeans.of_ids(ps, _S1)
+    _, far = measures.centroid_match(kmeans.subset_kmeans(ps, 4, c0, regions=128).centroids, kmeans.single_machine(ps, 4, c0).centroids)
+    return s.createDataFrame([(far,)], "largest_shift double")
+
+
+@query("subset_kmeans_planes", ORACLES["subset_kmeans_flagship"])
+def subset_kmeans_planes(s, d):
+    """The flagship with cuts from histograms, which moves no point to build the tree."""
+    ps = ps_of(s, d, "orders2d")
+    cands = subset.solve(kmeans.labelled(ps, 6, 15, ragged="proportional", tree="planes"), kmeans.of_ids(ps, (0, 1, 2)), 2, T_REAL)
+    return rows(s, merge.min_asse(cands, 2))
+
+
+@query("subset_kmeans_rescored")
+def subset_kmeans_rescored(s, d):
+    """The best three subsets by their own error, judged again on all points."""
+    ps = ps_of(s, d, "gauss3k")
+    return kmeans.sse(ps, kmeans.subset_kmeans(ps, 4, kmeans.of_ids(ps, _S1), regions=64, rescore=3).centroids)
+
+
+@query("subset_kmeans_prethinned")
+def subset_kmeans_prethinned(s, d):
+    """A hash sample first, stratified by its own tree: nothing but the sample is shuffled."""
+    ps = ps_of(s, d, "gauss15k")
+    n = ps.count()
+    thin = PointSet(labeling.prethin(ps.df, n, 2048, 1), 2)
+    return kmeans.sse(ps, kmeans.subset_kmeans(thin, 4, kmeans.of_ids(ps, _S1), regions=128).centroids)
