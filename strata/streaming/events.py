@@ -52,8 +52,11 @@ def running_sums(events: DataFrame, c: np.ndarray) -> DataFrame:
 
 def run_to_end(df: DataFrame, name: str, mode: str = "append") -> DataFrame:
     """Everything available, through a memory sink: for tests and small results."""
-    q = df.writeStream.format("memory").queryName(name).outputMode(mode).trigger(availableNow=True).start()
-    q.awaitTermination()
+    writer = df.writeStream.format("memory").queryName(name).outputMode(mode).trigger(availableNow=True)
+    shared = df.sparkSession.sparkContext._jsc.sc().getCheckpointDir()
+    if shared.isDefined():  # where all executors can read it
+        writer = writer.option("checkpointLocation", f"{shared.get()}/{name}")
+    writer.start().awaitTermination()
     return df.sparkSession.table(name)
 
 
