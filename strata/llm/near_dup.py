@@ -3,9 +3,10 @@
 1. Each document becomes its set of word shingles, as 64-bit hashes. Documents of equal
    sets form a class; only its smallest id goes on, so copies cost one row each.
 2. A class has `bands * rows` minima of universal hashes; each band of them is a bucket key.
-3. Every member of a bucket is compared with the bucket's smallest id: first by
-   signature, then, where that leaves a doubt, on the full sets.
-4. The links' components are found by large-star and small-star rounds.
+3. Every member is compared with the leader, the smallest id, of the bucket where it
+   most often is: first by signature, then, where that leaves a doubt, on the full sets.
+4. The links' components are found by large-star and small-star rounds. Members that are
+   not yet joined to the leaders of their other buckets are compared with those too.
 5. Buckets that still hold several components are compared once more, members outside
    the largest component against all others in blocks, so no link between them is lost
    and groups that are already one component cost nothing.
@@ -33,7 +34,7 @@ from strata.llm.components import connected_components
 
 LOWER = bytes(c + 32 if 65 <= c <= 90 else c for c in range(256))
 #: Rows of one block when the members of a bucket are compared.
-BLOCK = 2000
+BLOCK = 500
 #: Signature estimates this far under the wanted similarity leave no doubt: over five standard errors of 240 minima.
 DOUBT = 0.14
 #: Words whose hash a worker remembers before it starts anew.
@@ -140,26 +141,64 @@ def _checked(pairs: DataFrame, sets: DataFrame, percent: int) -> DataFrame:
     return map_texts(joined, ["a", "b", "x", "y"], kernel, "a long, b long")
 
 
+def _id_filter(ids: DataFrame, bits: int = 1 << 24):
+    """A bitmap of hashed ids, of a fixed size whatever the number of ids: no id is missed, some others pass."""
+    x = F.pmod(F.xxhash64("id"), F.lit(bits))
+    parts = ids.select((x + 1).alias("x")).groupBy(F.bitmap_bucket_number("x").alias("k")).agg(F.bitmap_construct_agg(F.bitmap_bit_position("x")).alias("m")).collect()
+    bitmap = bytearray(bits // 8)
+    for r in parts:
+        bitmap[(r.k - 1) * 4096 : r.k * 4096] = r.m
+    return x, ids.sparkSession.sparkContext.broadcast(bytes(bitmap))
+
+
 def _sets(docs: DataFrame, ids: DataFrame, width: int, id_column: str, text_column: str) -> DataFrame:
-    """(id, set) of the documents named in `ids`."""
+    """(id, set) of the documents named in `ids`. Their texts do not move: the scan passes over the others by a bitmap."""
+    x, bitmap = _id_filter(ids)
 
     def kernel(batches: Iterator[dict]) -> Iterator[dict]:
+        held = bitmap.value
         for b in batches:
-            yield {"id": b["id"], "set": [shingle_set(t, width).tobytes() for t in b["text"]]}
+            own = [k for k, x in enumerate(b["x"]) if x is not None and held[x >> 3] >> (x & 7) & 1]
+            yield {"id": [b["id"][k] for k in own], "set": [shingle_set(b["text"][k], width).tobytes() for k in own]}
 
-    named = docs.select(F.col(id_column).cast("long").alias("id"), F.col(text_column).alias("text")).join(ids, "id", "left_semi")
-    return map_texts(named, ["id", "text"], kernel, "id long, set binary")
+    named = docs.select(F.col(id_column).cast("long").alias("id"), F.col(text_column).alias("text")).withColumn("x", x)
+    return map_texts(named, ["id", "text", "x"], kernel, "id long, set binary").join(ids, "id", "left_semi")
 
 
-def _alike(x, y, least: float):
-    """For each signature of `x`, which of `y` agree enough; a byte of unequal minima agrees once in 256."""
-    import numpy as np
+def _across(asking: DataFrame, asked: DataFrame, content: DataFrame, percent: int, least: float) -> DataFrame:
+    """Links (a, b) between rows (k, id, component) of equal k and unequal components. Both sides of a k are cut
+    into blocks that meet pairwise; a block pair gives one link at most for each asking id and component."""
 
-    hits = []
-    for k in range(len(x)):
-        share = (y == x[k]).mean(axis=1, dtype=np.float32)
-        hits.append(np.flatnonzero((share - 1 / 256) / (255 / 256) >= least))
-    return hits
+    def blocks(side, name):
+        return side.groupBy("k").agg(F.ceil(F.count("*") / BLOCK).cast("int").alias(name))
+
+    sizes = blocks(asking, "n_o").join(blocks(asked, "n_t"), "k")
+    h = F.xxhash64("id")
+    one = asking.join(sizes, "k").select("k", "id", "component", F.lit(True).alias("asks"), F.pmod(h, "n_o").cast("int").alias("o"), F.explode(F.sequence(F.lit(0), F.col("n_t") - 1)).alias("t"))
+    two = asked.join(sizes, "k").select("k", "id", "component", F.lit(False).alias("asks"), F.explode(F.sequence(F.lit(0), F.col("n_o") - 1)).alias("o"), F.pmod(h, "n_t").cast("int").alias("t"))
+
+    def compare(group):
+        import numpy as np
+        import pandas as pd
+
+        own, others = group[group.asks], group[~group.asks]
+        got = []
+        if len(own) and len(others):
+            y = np.frombuffer(b"".join(others.sig), np.uint8).reshape(len(others), -1)
+            ids, parts, theirs = others.id.to_numpy(), others.component.to_numpy(), [np.frombuffer(x, np.uint64) for x in others.set]
+            for i, c, sig, mine in zip(own.id, own.component, own.sig, own.set, strict=True):
+                share = ((y == np.frombuffer(sig, np.uint8)).mean(axis=1) - 1 / 256) / (255 / 256)
+                near = np.flatnonzero((share >= least) & (parts != c))
+                mine, joined = np.frombuffer(mine, np.uint64), set()
+                for j in near[np.argsort(-share[near], kind="stable")]:
+                    if parts[j] not in joined:
+                        both = len(np.intersect1d(mine, theirs[j], assume_unique=True))
+                        if 100 * both >= percent * (len(mine) + len(theirs[j]) - both):
+                            got.append((i, ids[j]))
+                            joined.add(parts[j])
+        return pd.DataFrame(got, columns=["a", "b"], dtype="int64")
+
+    return one.unionByName(two).join(content, "id").groupBy("k", "o", "t").applyInPandas(compare, "a long, b long")
 
 
 def near_duplicates(docs: DataFrame, width: int = 5, percent: int = 80, bands: int = 40, rows: int = 6, id_column: str = "doc_id", text_column: str = "text") -> DataFrame:
@@ -173,7 +212,8 @@ def near_duplicates(docs: DataFrame, width: int = 5, percent: int = 80, bands: i
     members = heads.select("id", F.posexplode("keys").alias("band", "key"))
     buckets = members.groupBy("band", "key").agg(F.min("id").alias("a"), F.count("*").alias("n")).filter("n > 1")
     placed = materialize(members.join(buckets, ["band", "key"]).select("band", "key", "n", "a", "id"))
-    pairs = placed.filter("a <> id").select("a", F.col("id").alias("b")).distinct()
+    sets = materialize(_sets(docs, placed.select("id").distinct(), width, id_column, text_column))
+    signed = heads.select("id", "sig")
 
     def doubtful(batches: Iterator[dict]) -> Iterator[dict]:
         import numpy as np
@@ -186,43 +226,42 @@ def near_duplicates(docs: DataFrame, width: int = 5, percent: int = 80, bands: i
             keep = np.flatnonzero((share - 1 / 256) / (255 / 256) >= least)
             yield {c: [batch[c][k] for k in keep] for c in ("a", "b")}
 
-    signed = heads.select("id", "sig")
-    near = pairs.join(signed.select(F.col("id").alias("b"), F.col("sig").alias("y")), "b").join(signed.select(F.col("id").alias("a"), F.col("sig").alias("x")), "a")
-    near = materialize(map_texts(near, ["a", "b", "x", "y"], doubtful, "a long, b long").distinct())
-    sets = materialize(_sets(docs, near.select(F.explode(F.array("a", "b")).alias("id")).distinct(), width, id_column, text_column))
-    links = materialize(_checked(near, sets, percent))
-    found = materialize(connected_components(links))
+    def linked(pairs: DataFrame) -> DataFrame:
+        """Those of the pairs whose signatures, and then whose full sets, agree."""
+        both = pairs.join(signed.select(F.col("id").alias("b"), F.col("sig").alias("y")), "b").join(signed.select(F.col("id").alias("a"), F.col("sig").alias("x")), "a")
+        return materialize(_checked(map_texts(both, ["a", "b", "x", "y"], doubtful, "a long, b long").distinct(), sets, percent))
 
-    # Buckets with several components left.
-    belongs = placed.filter("n > 2").join(found, "id", "left").withColumn("component", F.coalesce("component", "id"))
+    def grouped(found: DataFrame) -> DataFrame:
+        """Bucket members with the component that they are in so far."""
+        return placed.join(found, "id", "left").withColumn("component", F.coalesce("component", "id"))
+
+    # First each member with the leader it meets most often; then the other leaders it is not yet joined to.
+    often = placed.filter("a <> id").groupBy("a", "id").agg(F.count("*").alias("times"))
+    first = materialize(often.groupBy("id").agg(F.max(F.struct("times", (-F.col("a")).alias("a"))).alias("x")).select((-F.col("x.a")).alias("a"), F.col("id").alias("b")))
+    links = linked(first)
+    found = materialize(connected_components(links))
+    belongs = materialize(grouped(found))
+    leaders = belongs.groupBy("band", "key").agg(F.min(F.struct("id", "component")).alias("lead"), F.min("component").alias("lo"), F.max("component").alias("hi")).filter("lo < hi")
+    others = belongs.join(leaders.select("band", "key", F.col("lead.component").alias("of_lead")), ["band", "key"]).filter("component <> of_lead").select("a", F.col("id").alias("b")).distinct()
+    others = materialize(others.join(first, ["a", "b"], "left_anti"))
+    if not others.isEmpty():
+        links = links.union(linked(others))
+        found = materialize(connected_components(links))
+        belongs = materialize(grouped(found))
+
+    # Buckets with several components left: their members outside the largest component meet that component,
+    # wherever its members are, and one another.
+    belongs = belongs.filter("n > 2")
     sizes = belongs.groupBy("band", "key", "component").agg(F.count("*").alias("size"))
-    mixed = sizes.groupBy("band", "key").agg(F.count("*").alias("parts"), F.sum("size").alias("all"), F.max(F.struct("size", "component")).alias("top")).filter("parts > 1")
-    mixed = mixed.select("band", "key", F.col("top.component").alias("top"), F.ceil(F.col("all") / BLOCK).cast("int").alias("n_all"), F.ceil((F.col("all") - F.col("top.size")) / BLOCK).cast("int").alias("n_out"))
-    left = materialize(belongs.join(mixed, ["band", "key"]).select("band", "key", "id", "component", "top", "n_all", "n_out", F.xxhash64("id").alias("h")))
-    if not left.isEmpty():
-        left = left.join(signed, "id")
-        some = ["band", "key", "id", "component", "sig"]
-        targets = left.select(*some, F.lit(False).alias("out"), F.pmod("h", "n_all").alias("t"), F.explode(F.sequence(F.lit(0), F.col("n_out") - 1)).alias("o"))
-        outside = left.filter("component <> top").select(*some, F.lit(True).alias("out"), F.pmod("h", "n_out").alias("o"), F.explode(F.sequence(F.lit(0), F.col("n_all") - 1)).alias("t"))
-
-        def compare(group):
-            import numpy as np
-            import pandas as pd
-
-            own, others = group[group.out], group[~group.out]
-            if own.empty or others.empty:
-                return pd.DataFrame({"a": pd.Series(dtype="int64"), "b": pd.Series(dtype="int64")})
-            x, y = (np.frombuffer(b"".join(g.sig), np.uint8).reshape(len(g), -1) for g in (own, others))
-            ids, parts = others.id.to_numpy(), others.component.to_numpy()
-            got = [(min(i, ids[j]), max(i, ids[j])) for i, c, js in zip(own.id, own.component, _alike(x, y, least), strict=True) for j in js if parts[j] != c]
-            return pd.DataFrame(got, columns=["a", "b"], dtype="int64")
-
-        both = targets.unionByName(outside.select(*targets.columns))
-        more = both.groupBy("band", "key", "t", "o").applyInPandas(compare, "a long, b long").distinct()
-        more = materialize(more.join(near, ["a", "b"], "left_anti"))
-        if not more.isEmpty():
-            named = more.select(F.explode(F.array("a", "b")).alias("id")).distinct()
-            found = connected_components(links.union(_checked(more, _sets(docs, named, width, id_column, text_column), percent)))
+    mixed = sizes.groupBy("band", "key").agg(F.count("*").alias("parts"), F.max(F.struct("size", "component")).alias("top")).filter("parts > 1").select("band", "key", F.col("top.component").alias("top"))
+    outside = materialize(belongs.join(mixed, ["band", "key"]).filter("component <> top").select(F.xxhash64("band", "key").alias("bucket"), "id", "component", "top"))
+    if not outside.isEmpty():
+        others = outside.select(F.col("bucket").alias("k"), "id", "component").distinct()
+        asked = outside.select(F.col("top").alias("k"), "id", "component").distinct()
+        members = belongs.select("id", "component").distinct().join(asked.select(F.col("k").alias("component")).distinct(), "component").select(F.col("component").alias("k"), "id", "component")
+        content = sets.join(signed, "id")
+        more = _across(asked, members, content, percent, least).union(_across(others, others, content, percent, least))
+        found = connected_components(links.union(materialize(more.distinct())))
 
     heads_of = classes.join(found, F.col("class_id") == F.col("id"), "left").select("same", F.coalesce("component", "class_id").alias("component"))
     out = all_rows.select("id", "n_shingles", "same").join(heads_of, "same", "left")
