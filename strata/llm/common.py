@@ -20,9 +20,13 @@ def read(spark: SparkSession, sf_dir: str, name: str) -> DataFrame:
     return spark.read.parquet(f"{sf_dir}/{name}.parquet")
 
 
-def worker_cache(key: str, make: Callable):
-    """An object that lives as long as the Python worker and serves its later tasks too."""
+def worker_cache(key: str, make: Callable, instead_of: str | None = None):
+    """An object that lives as long as the Python worker and serves its later tasks too. With `instead_of`,
+    the name of a purpose, it replaces what was kept for that purpose under another key."""
     store = sys.modules.setdefault("_strata_worker_cache", types.ModuleType("_strata_worker_cache")).__dict__
+    if instead_of and store.get(f"purpose {instead_of}") != key:
+        store.pop(store.get(f"purpose {instead_of}"), None)
+        store[f"purpose {instead_of}"] = key
     if key not in store:
         store[key] = make()
     return store[key]
