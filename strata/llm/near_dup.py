@@ -3,10 +3,9 @@
 1. Each document becomes its set of word shingles, as 64-bit hashes. Documents of equal
    sets form a class; only its smallest id goes on, so copies cost one row each.
 2. A class has `bands * rows` minima of universal hashes; each band of them is a bucket key.
-3. Every member is compared with the leader, the smallest id, of the bucket where it
-   most often is: first by signature, then, where that leaves a doubt, on the full sets.
-4. The links' components are found by large-star and small-star rounds. Members that are
-   not yet joined to the leaders of their other buckets are compared with those too.
+3. Every member of a bucket is compared with its leader, the bucket's smallest id: first
+   by signature, then, where that leaves a doubt, on the full sets.
+4. The links' components are found by large-star and small-star rounds.
 5. Buckets that still hold several components are compared once more, members outside
    the largest component against all others in blocks, so no link between them is lost
    and groups that are already one component cost nothing.
@@ -38,7 +37,7 @@ BLOCK = 500
 #: Signature estimates this far under the wanted similarity leave no doubt: over five standard errors of 240 minima.
 DOUBT = 0.14
 #: Words whose hash a worker remembers before it starts anew.
-MOST_KNOWN = 1_000_000
+MOST_KNOWN = 400_000
 
 
 class _WordHash(dict):
@@ -231,27 +230,12 @@ def near_duplicates(docs: DataFrame, width: int = 5, percent: int = 80, bands: i
         both = pairs.join(signed.select(F.col("id").alias("b"), F.col("sig").alias("y")), "b").join(signed.select(F.col("id").alias("a"), F.col("sig").alias("x")), "a")
         return materialize(_checked(map_texts(both, ["a", "b", "x", "y"], doubtful, "a long, b long").distinct(), sets, percent))
 
-    def grouped(found: DataFrame) -> DataFrame:
-        """Bucket members with the component that they are in so far."""
-        return placed.join(found, "id", "left").withColumn("component", F.coalesce("component", "id"))
-
-    # First each member with the leader it meets most often; then the other leaders it is not yet joined to.
-    often = placed.filter("a <> id").groupBy("a", "id").agg(F.count("*").alias("times"))
-    first = materialize(often.groupBy("id").agg(F.max(F.struct("times", (-F.col("a")).alias("a"))).alias("x")).select((-F.col("x.a")).alias("a"), F.col("id").alias("b")))
-    links = linked(first)
+    links = linked(placed.filter("a <> id").select("a", F.col("id").alias("b")).distinct())
     found = materialize(connected_components(links))
-    belongs = materialize(grouped(found))
-    leaders = belongs.groupBy("band", "key").agg(F.min(F.struct("id", "component")).alias("lead"), F.min("component").alias("lo"), F.max("component").alias("hi")).filter("lo < hi")
-    others = belongs.join(leaders.select("band", "key", F.col("lead.component").alias("of_lead")), ["band", "key"]).filter("component <> of_lead").select("a", F.col("id").alias("b")).distinct()
-    others = materialize(others.join(first, ["a", "b"], "left_anti"))
-    if not others.isEmpty():
-        links = links.union(linked(others))
-        found = materialize(connected_components(links))
-        belongs = materialize(grouped(found))
 
     # Buckets with several components left: their members outside the largest component meet that component,
     # wherever its members are, and one another.
-    belongs = belongs.filter("n > 2")
+    belongs = materialize(placed.filter("n > 2").join(found, "id", "left").withColumn("component", F.coalesce("component", "id")))
     sizes = belongs.groupBy("band", "key", "component").agg(F.count("*").alias("size"))
     mixed = sizes.groupBy("band", "key").agg(F.count("*").alias("parts"), F.max(F.struct("size", "component")).alias("top")).filter("parts > 1").select("band", "key", F.col("top.component").alias("top"))
     outside = materialize(belongs.join(mixed, ["band", "key"]).filter("component <> top").select(F.xxhash64("band", "key").alias("bucket"), "id", "component", "top"))
