@@ -323,3 +323,39 @@ def test_pipeline(spark, sf, small):
 def test_queries_have_their_columns(spark, sf):
     names = list(queries.queries())
     assert [int(n[2:].split("_")[0]) for n in names] == list(range(1, 11))
+
+
+def test_context_mixing_sees_the_words_before(spark):
+    """The order of words counts, a text's score is its own, and the weights come from all training texts."""
+    draw = random.Random(10)
+    pairs = [(f"l{k}", f"r{k * 7 % 40}") for k in range(40)]
+    texts = [" ".join(w for _ in range(30) for w in draw.choice(pairs)) for _ in range(300)]
+    turned = [" ".join(reversed(t.split())) for t in texts[:20]]
+    held = [k for k in range(2000) if zlib.crc32(str(k).encode()) % 7 == 2][:41]
+    rows = [(k, t) for k, t in zip((k for k in range(2000) if k not in held), texts, strict=False)]
+    rows += list(zip(held, [*texts[:20], *turned, texts[0]], strict=True))
+    df = spark.createDataFrame(rows, "doc_id long, text string").repartition(3)
+    got = {r.doc_id: r for r in mixing.score_texts(df).collect()}
+    assert all(got[a].score > got[b].score + 5 for a, b in zip(held[:20], held[20:40], strict=True))
+    assert got[held[0]].score == got[held[40]].score
+    r, size = got[held[0]], len(texts[0]) + 2
+    assert math.isclose(r.bits_per_byte, -r.score / math.log10(2) / size, rel_tol=1e-9)
+    few = {r.doc_id: r for r in mixing.score_texts(df, sample_tokens=500).collect()}
+    assert few[held[0]].base_score == r.base_score and few[held[0]].score != r.score
+
+
+def test_slots_follow_contexts(spark):
+    """More distinct contexts get more slots, and cutting a text into chunks changes no score."""
+    draw = random.Random(11)
+    texts = ["".join(draw.choices("abcdefghijklmnop ", k=4000)) for _ in range(400)]
+    orders = mixing._sized(spark.createDataFrame([(t,) for t in texts], "text string"), "text")
+    least = dict(mixing.ORDERS)
+    grams = len({t[k : k + 6] for t in texts for k in range(len(t) - 6)})
+    assert dict(orders)[6] > least[6] and (1 << dict(orders)[6]) > grams
+    assert dict(mixing._sized(spark.createDataFrame([("a b",)], "text string"), "text")) == least
+    import numpy as np
+
+    words = [*mixing.tokens(texts[0]), b"", *mixing.tokens(texts[1]), b""]
+    whole = mixing.bit_slots(words)[0]
+    cut = np.concatenate([mixing.bit_slots(words[k : k + 2], mixing.preceding(words, k))[0] for k in range(0, len(words), 2)], axis=1)
+    assert np.array_equal(whole, cut)
