@@ -34,7 +34,7 @@ def query(name: str, sql: str | None = None):
 
 
 def ps_of(spark: SparkSession, sf_dir: str, fixture: str) -> PointSet:
-    if fixture in ("gauss3k", "gauss15k"):
+    if fixture in ("gauss3k", "gauss15k", "gauss_events"):
         return getattr(fixtures, fixture)(spark, sf_dir)
     return fn.featurized(spark, sf_dir, fixture)
 
@@ -379,3 +379,37 @@ def subset_kmeans_prethinned(s, d):
     n = ps.count()
     thin = PointSet(labeling.prethin(ps.df, n, 2048, 1), 2)
     return kmeans.sse(ps, kmeans.subset_kmeans(thin, 4, kmeans.of_ids(ps, _S1), regions=128).centroids)
+
+
+# The same operators over all events, without a statement: the forms above hold to the 3,000 points of the experiments.
+
+_ALL = "gauss_events"
+
+
+def whole_query(name, run):
+    query(f"{name}_all")(lambda s, d: run(s, ps_of(s, d, _ALL)))
+
+
+def _merged_all(**kw):
+    return lambda s, ps: rows(s, kmeans.subset_kmeans(ps, 4, kmeans.of_ids(ps, _S1), regions=256, **kw).centroids)
+
+
+for _name, _how in (("predict", assign.by_literal), ("assign_literal", assign.by_literal), ("assign_join", assign.by_join), ("assign_hof", assign.by_hof), ("assign_arrow", assign.by_arrow)):
+    whole_query(_name, lambda s, ps, how=_how: how(ps, _C).select("point_id", "cluster_id", "dist2"))
+whole_query("assign_cells", lambda s, ps: assign.by_cells(ps, kdtree.build_exact(ps, 5), _C).select("point_id", "cluster_id", "dist2"))
+whole_query("sse", lambda s, ps: kmeans.sse(ps, _C))
+whole_query("cluster_profile", lambda s, ps: measures.cluster_profile(assign.by_literal(ps, _C)))
+whole_query("purity", lambda s, ps: measures.purity(assign.by_literal(ps, _C)))
+whole_query("centroid_update", lambda s, ps: assign.sums(assign.by_literal(ps, _C), ["c0", "c1"]))
+whole_query("topk_per_cluster", lambda s, ps: assign.by_literal(ps, _C).withColumn("r", F.row_number().over(Window.partitionBy("cluster_id").orderBy("dist2", "point_id"))).filter("r <= 3").select("cluster_id", "point_id"))
+whole_query("coverage", lambda s, ps: measures.coverage(labeling.by_axis(kdtree.build_exact(ps, 6))))
+whole_query("region_balance", lambda s, ps: measures.region_balance(kdtree.build_exact(ps, 6)))
+whole_query("subset_sizes", lambda s, ps: measures.subset_sizes(labeling.by_axis(kdtree.build_exact(ps, 6), subsets=10, ragged="proportional")))
+whole_query("kd_assign", lambda s, ps: kdtree.assign_region(ps, kdtree.build_planes_exact(ps, 5, bins=64), 5).select("point_id", "region_id"))
+whole_query("merge_min_asse", _merged_all())
+whole_query("merge_min_asse_dist", _merged_all(asse="dist"))
+whole_query("merge_hierarchical", lambda s, ps: rows(s, kmeans.subset_kmeans(ps, 4, kmeans.of_ids(ps, _S1), subsets=5, how="hierarchical").centroids))
+whole_query("single_machine", lambda s, ps: rows(s, kmeans.single_machine(ps, 4, kmeans.of_ids(ps, _S1)).centroids))
+for _name, _kw in (("raw", {"combine": False}), ("combined", {}), ("join", {"how": "join"})):
+    whole_query(f"iter_kmeans_{_name}", lambda s, ps, kw=_kw: rows(s, kmeans.iterative_kmeans(ps, 4, kmeans.of_ids(ps, INITIAL[5]), **kw).centroids))
+whole_query("iter_kmeans_cells", lambda s, ps: rows(s, kmeans.iterative_kmeans(ps, 4, kmeans.of_ids(ps, INITIAL[5]), how="cells", regions=kdtree.build_exact(ps, 5)).centroids))

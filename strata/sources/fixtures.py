@@ -38,6 +38,10 @@ def gauss3k(spark: SparkSession, sf_dir: str) -> PointSet:
     return gauss(table(spark, sf_dir, "events").filter("event_id < 3000").select("event_id"), "event_id")
 
 
+def gauss_events(spark: SparkSession, sf_dir: str) -> PointSet:
+    return gauss(table(spark, sf_dir, "events").select("event_id"), "event_id")
+
+
 def gauss15k(spark: SparkSession, sf_dir: str) -> PointSet:
     return gauss(table(spark, sf_dir, "orders").select("o_orderkey"), "o_orderkey")
 

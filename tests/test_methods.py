@@ -121,3 +121,20 @@ def test_tendencies(spark, sf):
         return kmeans.sse(ps, r.centroids).first()[0]
 
     assert sum(error("tree", k) for k in range(3)) < sum(error("random", k) for k in range(3))
+
+
+def test_whole_tables(spark, sf):
+    """The general forms take every event, and agree with plain numpy."""
+    n = spark.read.parquet(f"{sf}/events.parquet").count()
+    assert n > 3000
+    x = queries.ps_of(spark, sf, "gauss_events").df.orderBy("point_id").toPandas()
+    d2 = localsolver.distances(x[["c0", "c1"]].to_numpy(float), queries._C)
+    for how in ("predict", "assign_join", "assign_cells"):
+        got = queries.QUERIES[f"{how}_all"](spark, sf).orderBy("point_id").toPandas()
+        assert len(got) == n and (got.cluster_id.to_numpy() == d2.argmin(1)).all()
+    assert queries.QUERIES["sse_all"](spark, sf).first()[0] == int(np.floor(d2.min(1)).sum())
+    assert sum(r.points for r in queries.QUERIES["coverage_all"](spark, sf).collect()) == n
+    one = localsolver.solve(x[["c0", "c1"]].to_numpy(float), kmeans.of_ids(queries.ps_of(spark, sf, "gauss_events"), queries.INITIAL[5]))
+    got = queries.QUERIES["iter_kmeans_combined_all"](spark, sf).orderBy("cluster_id").select("c0", "c1").toPandas().to_numpy()
+    assert one.converged and np.allclose(got, one.centroids)
+    assert queries.QUERIES["merge_hierarchical_all"](spark, sf).count() == queries.QUERIES["merge_min_asse_all"](spark, sf).count() == 4
