@@ -413,3 +413,30 @@ whole_query("single_machine", lambda s, ps: rows(s, kmeans.single_machine(ps, 4,
 for _name, _kw in (("raw", {"combine": False}), ("combined", {}), ("join", {"how": "join"})):
     whole_query(f"iter_kmeans_{_name}", lambda s, ps, kw=_kw: rows(s, kmeans.iterative_kmeans(ps, 4, kmeans.of_ids(ps, INITIAL[5]), **kw).centroids))
 whole_query("iter_kmeans_cells", lambda s, ps: rows(s, kmeans.iterative_kmeans(ps, 4, kmeans.of_ids(ps, INITIAL[5]), how="cells", regions=kdtree.build_exact(ps, 5)).centroids))
+
+
+# Real tables refined to convergence, without a statement: the forms above stop after T_REAL rounds, which is what SQL can unroll.
+
+
+def converged(s, d, fixture, depth, m, init, ragged="proportional", **kw):
+    """Points and candidates, once every subset has converged. A subset that has not stops the query."""
+    ps, c0 = ps_of(s, d, fixture), kmeans.of_ids(ps_of(s, d, fixture), init)
+    cands = subset.solve(kmeans.labelled(ps, depth, m, ragged=ragged, **{k: v for k, v in kw.items() if k == "tree"}), c0, ps.d, solver=kw.get("solver", "plain"))
+    late = F.when(F.col("converged"), F.col("subset_id")).otherwise(F.raise_error(F.lit("a subset did not converge")))
+    return ps, cands.withColumn("subset_id", late)
+
+
+def converged_model(name, *at, **kw):
+    def run(s, d):
+        ps, cands = converged(s, d, *at, **kw)
+        return rows(s, merge.min_asse(cands, ps.d))
+
+    query(f"{name}_converged")(run)
+
+
+for _solver in ("plain", "bounds", "kdfilter"):
+    query("subset_candidates_converged" if _solver == "plain" else f"subset_candidates_{_solver}_converged")(lambda s, d, v=_solver: converged(s, d, "orders2d", 6, None, (0, 1, 2), "keep", solver=v)[1].select("subset_id", "cluster_id", "c0", "c1", "members", "sse", "rounds", "converged"))
+converged_model("subset_kmeans_flagship", "orders2d", 6, 15, (0, 1, 2))
+converged_model("subset_kmeans_planes", "orders2d", 6, 15, (0, 1, 2), tree="planes")
+for _name, *_at in (("w9_lineitem", "lineitem2d", 8, 20, (1, 2, 3)), ("w10_orders", "orders2d", 6, 20, (0, 1, 2)), ("w11_events", "events2d", 6, 15, (0, 1, 2)), ("w12_embed8", "embed8", 4, 20, (0, 1, 2)), ("w13_customer", "customer2d", 5, 10, (0, 1, 2)), ("w13_part", "part2d", 5, 10, (0, 1, 2)), ("w13_supplier", "supplier1d", 2, 4, (0, 1)), ("w14_documents", "docs2d", 4, 12, (0, 1, 2))):
+    converged_model(_name, *_at)

@@ -138,3 +138,23 @@ def test_whole_tables(spark, sf):
     got = queries.QUERIES["iter_kmeans_combined_all"](spark, sf).orderBy("cluster_id").select("c0", "c1").toPandas().to_numpy()
     assert one.converged and np.allclose(got, one.centroids)
     assert queries.QUERIES["merge_hierarchical_all"](spark, sf).count() == queries.QUERIES["merge_min_asse_all"](spark, sf).count() == 4
+
+
+def test_real_tables_converge(spark, sf):
+    """Every subset ends where one more round moves nothing, as plain numpy finds it, beyond the parity forms' rounds."""
+    ps = queries.ps_of(spark, sf, "docs2d")
+    c0 = kmeans.of_ids(ps, (0, 1, 2))
+    lab = kmeans.labelled(ps, 4, 12, ragged="proportional").toPandas()
+    got = queries.converged(spark, sf, "docs2d", 4, 12, (0, 1, 2))[1].toPandas().sort_values(["subset_id", "cluster_id"])
+    assert got.converged.all() and got.rounds.max() > queries.T_REAL
+    for label, group in lab.groupby("label"):
+        x, c = group.sort_values("point_id")[["c0", "c1"]].to_numpy(float), c0
+        for _ in range(500):
+            near = ((x[:, None] - c[None]) ** 2).sum(2).argmin(1)
+            new = np.array([x[near == k].mean(0) if (near == k).any() else c[k] for k in range(3)])
+            if (new == c).all():
+                break
+            c = new
+        assert np.allclose(got[got.subset_id == label][["c0", "c1"]].to_numpy(), c)
+    for name in ("w14_documents", "subset_kmeans_flagship", "subset_kmeans_planes"):
+        assert queries.QUERIES[f"{name}_converged"](spark, sf).count() == 3
