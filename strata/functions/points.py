@@ -77,8 +77,8 @@ def featurized(spark: SparkSession, sf_dir: str, fixture: str) -> PointSet:
         return PointSet.from_df(t("supplier"), "s_suppkey", [cents("s_acctbal")])
     if fixture == "part2d":
         return PointSet.from_df(t("part"), "p_partkey", [c("p_size").cast("long"), cents("p_retailprice")])
-    if fixture == "embed8":
-        return PointSet.from_df(t("embeddings"), "vec_id", [F.floor(F.get("embedding", F.lit(k)).cast("double") * 1_000_000).cast("long") for k in range(8)])
+    if fixture in ("embed8", "embed64"):
+        return PointSet.from_df(t("embeddings"), "vec_id", [F.floor(F.get("embedding", F.lit(k)).cast("double") * 1_000_000).cast("long") for k in range(int(fixture[5:]))])
     if fixture == "docs2d":
         return PointSet.from_df(t("documents"), "doc_id", [c("n_chars").cast("long"), F.size(F.split("text", " ", -1)).cast("long")])
     if fixture == "pages2d":

@@ -440,3 +440,8 @@ converged_model("subset_kmeans_flagship", "orders2d", 6, 15, (0, 1, 2))
 converged_model("subset_kmeans_planes", "orders2d", 6, 15, (0, 1, 2), tree="planes")
 for _name, *_at in (("w9_lineitem", "lineitem2d", 8, 20, (1, 2, 3)), ("w10_orders", "orders2d", 6, 20, (0, 1, 2)), ("w11_events", "events2d", 6, 15, (0, 1, 2)), ("w12_embed8", "embed8", 4, 20, (0, 1, 2)), ("w13_customer", "customer2d", 5, 10, (0, 1, 2)), ("w13_part", "part2d", 5, 10, (0, 1, 2)), ("w13_supplier", "supplier1d", 2, 4, (0, 1)), ("w14_documents", "docs2d", 4, 12, (0, 1, 2))):
     converged_model(_name, *_at)
+
+# Whole embeddings; the forms on embed8 are what SQL can follow. A tree of 4 levels cuts 4 axes, of 6 levels 6: distances take all 64.
+query("featurize_embed64")(lambda s, d: ps_of(s, d, "embed64").df)
+query("kd_axis_cycle_64")(lambda s, d: tree(s, d, "embed64", 6).select("point_id", "region_id"))
+converged_model("w12_embed64", "embed64", 4, 20, (0, 1, 2))

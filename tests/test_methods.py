@@ -158,3 +158,20 @@ def test_real_tables_converge(spark, sf):
         assert np.allclose(got[got.subset_id == label][["c0", "c1"]].to_numpy(), c)
     for name in ("w14_documents", "subset_kmeans_flagship", "subset_kmeans_planes"):
         assert queries.QUERIES[f"{name}_converged"](spark, sf).count() == 3
+
+
+def test_whole_embeddings(spark, sf):
+    """All 64 values are coordinates, and a subset's centroids are those of plain numpy over them."""
+    raw = {r.vec_id: np.floor(np.array(r.embedding, float) * 1_000_000) for r in spark.read.parquet(f"{sf}/embeddings.parquet").collect()}
+    ps = queries.ps_of(spark, sf, "embed64")
+    assert ps.d == 64 == max(map(len, raw.values()))
+    lab = kmeans.labelled(ps, 4, 20, ragged="proportional").select("point_id", "label").toPandas()
+    got = queries.converged(spark, sf, "embed64", 4, 20, (0, 1, 2))[1].toPandas().sort_values(["subset_id", "cluster_id"])
+    for label in (1, 2, 20):
+        x = np.array([raw[i] for i in sorted(lab[lab.label == label].point_id)])
+        c = np.array([raw[i] for i in (0, 1, 2)])
+        for _ in range(100):
+            near = ((x[:, None] - c[None]) ** 2).sum(2).argmin(1)
+            c = np.array([x[near == k].mean(0) if (near == k).any() else c[k] for k in range(3)])
+        assert np.allclose(got[got.subset_id == label][[f"c{k}" for k in range(64)]].to_numpy(), c)
+    assert len(queries.QUERIES["w12_embed64_converged"](spark, sf).columns) == 65
