@@ -4,7 +4,7 @@ The rules give e-mail addresses, IP addresses, card and telephone numbers. Beyon
 generators of high recall propose spans that may overlap: written-out addresses and any
 run of grouped digits. Boosted trees judge each proposal by its format and its context.
 They are fitted on a bounded sample of proposals, labelled by whether a rule confirms
-them, and their scores are calibrated on it; proposals whose calibrated probability
+them, and on generated written-out addresses, and their scores are calibrated on it; proposals whose calibrated probability
 reaches the threshold, and that no rule's span overlaps, are added, the better one where
 two overlap.
 
@@ -19,6 +19,7 @@ trees; further columns are ignored. Offsets count code points.
 from __future__ import annotations
 
 import math
+import random
 from dataclasses import dataclass, field
 
 from pyspark.sql import Column, DataFrame
@@ -36,6 +37,8 @@ SPELLED = r"(?<![A-Za-z0-9._%+-])[A-Za-z0-9._%+-]{1,64}\x20?(?:@|\(at\)|\[at\]|\
 NUMBER = r"\+?\(?[0-9](?:[\x20()./-]{0,2}[0-9]){6,}+"
 PROPOSED = ("email_like", "number_like")
 CLUES = r"(?i)(tel|phone|call|mobile|fax|mail|card|visa|iban|account)[^0-9A-Za-z]*$"
+#: What marks a written-out address as one: a bracketed or spelled mark, or a common ending.
+MARKED = r"(?i)[(\[](at|dot)[)\]]|\x20dot\x20|\.(com|org|net|edu|gov|info|io|co|de|fr|es|uk|eu)$"
 FEATURES = ("generator", "digits", "separators", "plus", "luhn", "at", "parens", "dots", "before", "after", "clue", "length", "octets")
 
 
@@ -93,7 +96,7 @@ def rule_spans(text: Column) -> Column:
 
 def proposals(text: Column) -> Column:
     """Array of (kind, start, end, and the features as small integers)."""
-    spelled = text.contains("@") | text.contains("(at)") | text.contains("[at]") | text.contains(" dot ")
+    spelled = text.contains("@") | text.contains("(at)") | text.contains("[at]") | text.contains(" at ")
 
     def side(c):
         return F.when(F.coalesce(c, F.lit("")) == "", 0).when(c.rlike(r"\s"), 0).when(c.rlike(r"\p{L}"), 1).when(c.rlike(r"\p{N}"), 2).otherwise(3)
@@ -108,7 +111,7 @@ def proposals(text: Column) -> Column:
                 "generator": F.lit(generator), "digits": F.least(F.length(d), F.lit(24)), "separators": F.least(count(r"[\x20()./-]"), F.lit(10)), "plus": s.startswith("+").cast("int"),
                 "luhn": luhn(d).cast("int"), "at": s.contains("@").cast("int"), "parens": s.contains("(").cast("int"), "dots": F.least(count(r"\."), F.lit(6)),
                 "before": side(F.when(x["start"] > 0, F.substring(text, x["start"], F.lit(1)))), "after": side(F.substring(text, end + 1, F.lit(1))),
-                "clue": context.rlike(CLUES).cast("int"), "length": F.least(F.length(s), F.lit(40)), "octets": (s.rlike(r"^[0-9]+(\.[0-9]+){3}$") & octets_fit(s)).cast("int"),
+                "clue": ((s.rlike(MARKED) & ~s.contains("@")) if generator == 0 else context.rlike(CLUES)).cast("int"), "length": F.least(F.length(s), F.lit(40)), "octets": (s.rlike(r"^[0-9]+(\.[0-9]+){3}$") & octets_fit(s)).cast("int"),
             }
             return F.struct(F.lit(PROPOSED[generator]).alias("kind"), x["start"].alias("start"), end.alias("end"), *(value[f].cast("int").alias(f) for f in FEATURES))
 
@@ -195,14 +198,31 @@ def boost(rows: list[tuple[tuple[int, ...], int, int]], rounds: int = 24, rate:
     return model
 
 
+def written_out(count: int = 2_000) -> list[str]:
+    """Texts that hold one written-out address each, by a fixed draw."""
+    draw = random.Random(8)
+    word = lambda a, b: "".join(draw.choices("abcdefghijklmnopqrstuvwxyz", k=draw.randint(a, b)))
+    out = []
+    for _ in range(count):
+        at, dot = draw.choice(((" at ", "."), (" at ", " dot "), ("(at)", "."), (" (at) ", " (dot) "), ("[at]", "[dot]"), (" [at] ", " [dot] "), ("(at)", "(dot)")))
+        name = word(2, 10) + draw.choice(("", "", f".{word(2, 8)}", str(draw.randint(1, 99))))
+        out.append(f"{word(2, 8)}, {name}{at}{word(3, 10)}{dot}{draw.choice(('com', 'org', 'net', 'edu', 'info', 'de', 'fr', 'es'))}, {word(2, 8)}")
+    return out
+
+
 def fit(docs: DataFrame, sample: int = 20_000, id_column: str = "doc_id", text_column: str = "text") -> Trees:
-    """Trees from at most `sample` proposals, chosen by hash. Only counts by feature values reach the driver."""
+    """Trees from at most `sample` proposals, chosen by hash, and from generated written-out addresses. No rule can
+    confirm those, so marked ones of the tables have no label and are left out. Only counts by feature values reach the driver."""
     text = F.coalesce(F.col(text_column), F.lit(""))
     d = docs.select(F.col(id_column).alias("id"), rule_spans(text).alias("rules"), proposals(text).alias("p"))
     one = d.filter(F.size("p") > 0).select("id", "rules", F.explode("p").alias("c")).select("c.*", F.exists("rules", lambda r: overlaps(r, F.col("c"))).cast("int").alias("label"), F.xxhash64("id", "c.start", "c.kind").alias("h"))
-    taken = one.orderBy("h", "start", "kind").limit(sample)
+    taken = one.filter("not (generator = 0 and clue = 1 and label = 0)").orderBy("h", "start", "kind").limit(sample)
     rows = taken.groupBy(*FEATURES).agg(F.count("*").alias("n"), F.sum("label").alias("pos")).orderBy(*FEATURES).collect()
-    return boost([(tuple(r[f] for f in FEATURES), r["n"], r["pos"]) for r in rows])
+    if not rows:
+        return boost([])
+    made = docs.sparkSession.createDataFrame([(t,) for t in written_out()], "text string").select(F.explode(proposals(F.col("text"))).alias("c")).select("c.*").filter("generator = 0")
+    more = made.groupBy(*FEATURES).agg(F.count("*").alias("n"), F.count("*").alias("pos")).orderBy(*FEATURES).collect()
+    return boost([(tuple(r[f] for f in FEATURES), r["n"], r["pos"]) for r in rows + more])
 
 
 def find(docs: DataFrame, model: Trees, id_column: str = "doc_id", text_column: str = "text") -> DataFrame:

@@ -359,3 +359,13 @@ def test_slots_follow_contexts(spark):
     whole = mixing.bit_slots(words)[0]
     cut = np.concatenate([mixing.bit_slots(words[k : k + 2], mixing.preceding(words, k))[0] for k in range(0, len(words), 2)], axis=1)
     assert np.array_equal(whole, cut)
+
+
+def test_written_out_addresses(spark, small):
+    """An address is proposed whatever else the text holds, and the trees add it; plain prose stays as it is."""
+    texts = ["jane at example.com", "write jane at example.com or a@b.co", "ask bob (at) example (dot) org now", "we meet at noon.then we go", "look at this. Then at that"]
+    df = spark.createDataFrame(list(enumerate(texts)), "doc_id long, text string")
+    spans = {r.doc_id: [texts[r.doc_id][p.start : p.end] for p in r.p] for r in df.select("doc_id", pii.proposals(F.col("text")).alias("p")).collect()}
+    assert "jane at example.com" in spans[0] and "jane at example.com" in spans[1]
+    added = {r.doc_id: [texts[r.doc_id][x.start : x.end] for x in r.added] for r in pii.find(df, pii.fit(small)).collect()}
+    assert added == {0: ["jane at example.com"], 1: ["jane at example.com"], 2: ["bob (at) example (dot) org"], 3: [], 4: []}
