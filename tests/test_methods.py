@@ -175,3 +175,8 @@ def test_whole_embeddings(spark, sf):
             c = np.array([x[near == k].mean(0) if (near == k).any() else c[k] for k in range(3)])
         assert np.allclose(got[got.subset_id == label][[f"c{k}" for k in range(64)]].to_numpy(), c)
     assert len(queries.QUERIES["w12_embed64_converged"](spark, sf).columns) == 65
+
+
+def test_grid_has_all_subset_counts(spark, sf):
+    rows = queries.QUERIES["grid_sse"](spark, sf).collect()
+    assert len(rows) == 30 and {r.subsets for r in rows} == {5, 11, 23, 46, 93}
