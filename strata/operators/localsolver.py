@@ -65,6 +65,64 @@ def solve(x: np.ndarray, c0: np.ndarray, max_iter: int = 100, tol: float = 0.0,
     return Solution(c, labels, d2, rounds, converged)
 
 
+def solve_many(x: np.ndarray, first: np.ndarray, c0: np.ndarray, max_iter: int = 100, tol: float = 0.0, empty: str = "keep", shift: str = "max"):
+    """`solve`, plain and direct, of many matrices at once: `x` holds their rows one after another, `first` where each
+    begins. Sums run in the order of rows, as they do for one matrix, so the answers are the same bit for bit.
+
+    Gives (centroids by matrix, labels, d2, rounds, converged). Only matrices that still move are refined.
+    """
+    many, k, d = len(first), len(c0), x.shape[1]
+    sizes = np.diff(np.r_[first, len(x)])
+    c = np.repeat(np.asarray(c0, float)[None], many, 0)
+    rounds, converged = np.zeros(many, int), np.zeros(many, bool)
+
+    def nearest(rows, own):
+        """Labels and squared distances of rows, each against the centroids of its own matrix."""
+        best = np.full(len(rows), np.inf)
+        label = np.zeros(len(rows), int)
+        at = x[rows]
+        for j in range(k):
+            d2 = np.zeros(len(rows))
+            for a in range(d):
+                diff = at[:, a] - c[own, j, a]
+                d2 += diff * diff
+            nearer = d2 < best
+            label[nearer], best[nearer] = j, d2[nearer]
+        return label, best
+
+    owner = np.repeat(np.arange(many), sizes)
+    live = np.arange(many)
+    rows = np.arange(len(x))
+    for _ in range(max(1, max_iter)):
+        own = owner[rows]
+        label, d2 = nearest(rows, own)
+        cell = own * k + label
+        n = np.bincount(cell, minlength=many * k).reshape(many, k)
+        new = c.copy()
+        full = n > 0
+        for a in range(d):
+            total = np.bincount(cell, x[rows, a], many * k).reshape(many, k)
+            new[..., a][full] = (total / np.maximum(n, 1))[full]
+        if empty == "farthest":
+            for m in live[(n[live] == 0).any(1)]:
+                mine = np.flatnonzero(own == m)
+                far = iter(mine[np.argsort(-d2[mine], kind="stable")])
+                for j in np.flatnonzero(n[m] == 0):
+                    new[m, j] = x[rows[next(far)]]
+        moves = np.sqrt(((new[live] - c[live]) ** 2).sum(2))
+        rounds[live] += 1
+        c[live] = new[live]
+        done = (moves.max(1) if shift == "max" else moves.sum(1)) <= tol
+        converged[live[done]] = True
+        if done.any():
+            live = live[~done]
+            rows = np.flatnonzero(np.isin(owner, live))
+        if not len(live):
+            break
+    label, d2 = nearest(np.arange(len(x)), owner)
+    return c, label, d2, rounds, converged
+
+
 def _plain(x: np.ndarray, c: np.ndarray, kernel: str):
     d = distances(x, c, kernel)
     labels = d.argmin(1)
