@@ -54,9 +54,19 @@ def cents(c: str) -> Column:
     return F.round(F.col(c) * 100).cast("long")
 
 
-def _numbered(df: DataFrame, order: Sequence[str]) -> DataFrame:
-    """Ids from the total order of rows. The window is global, so this is for fixtures; large tables bring their ids."""
-    return df.withColumn("point_id", F.row_number().over(Window.orderBy(*order)).cast("long"))
+def _numbered(df: DataFrame, order: Sequence[str], parts: int = 64) -> DataFrame:
+    """Ids from the total order of rows: ranges of the first column by sampled bounds, ranks within each, and an offset
+    from the counts of the ranges before, so no task sees all rows."""
+    bounds = sorted({x for x in df.select(F.percentile_approx(order[0], [k / parts for k in range(1, parts)], 1000)).first()[0] or []})
+    low = F.lit(0)
+    for x in bounds:
+        low = low + F.when(F.col(order[0]) > F.lit(x), 1).otherwise(0)
+    ranged = df.withColumn("_part", low)
+    sizes = ranged.groupBy("_part").agg(F.count("*").alias("_n"))
+    before = sizes.select("_part", (F.sum("_n").over(Window.orderBy("_part")) - F.col("_n")).alias("_before"))  # at most `parts` rows
+    rank = F.row_number().over(Window.partitionBy("_part").orderBy(*order))
+    numbered = ranged.withColumn("_rank", rank).join(F.broadcast(before), "_part")
+    return numbered.withColumn("point_id", (F.col("_before") + F.col("_rank")).cast("long")).drop("_part", "_rank", "_before")
 
 
 def featurized(spark: SparkSession, sf_dir: str, fixture: str) -> PointSet:
@@ -83,6 +93,8 @@ def featurized(spark: SparkSession, sf_dir: str, fixture: str) -> PointSet:
         return PointSet.from_df(t("documents"), "doc_id", [c("n_chars").cast("long"), F.size(F.split("text", " ", -1)).cast("long")])
     if fixture == "pages2d":
         return PointSet.from_df(t("pages"), "page_id", [F.length("html").cast("long"), F.length("url").cast("long")])
+    if fixture == "turns2d":
+        return PointSet.from_df(t("conversations"), c("conv_id") * 10_000 + c("turn"), [F.coalesce(F.length("text"), F.lit(0)).cast("long"), F.size(F.split(F.coalesce("text", F.lit("")), " ", -1)).cast("long")])
     if fixture == "nation1d":
         return PointSet.from_df(t("nation"), c("n_nationkey").cast("long"), [c("n_regionkey").cast("long")])
     if fixture == "region1d":
@@ -92,6 +104,12 @@ def featurized(spark: SparkSession, sf_dir: str, fixture: str) -> PointSet:
     raise KeyError(fixture)
 
 
+def lengths(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """(source, id, c0, c1): code points and words of the texts of several tables."""
+    parts = [table(spark, sf_dir, name).select(F.lit(name).alias("source"), F.col(key).cast("long").alias("id"), F.length(text).cast("long").alias("c0"), F.size(F.split(text, " ", -1)).cast("long").alias("c1")) for name, key, text in (("pages", "page_id", "html"), ("benchmark", "item_id", "text"))]
+    return parts[0].union(parts[1])
+
+
 def scaled(ps: PointSet, how: str) -> PointSet:
     """Min-max or z-score scaling by one global aggregate, whose single row is joined to all."""
     if how == "none":

@@ -50,3 +50,11 @@ def save_model(spark: SparkSession, c: np.ndarray, path: str, **about) -> None:
 def load_model(spark: SparkSession, path: str) -> tuple[np.ndarray, dict]:
     rows = spark.read.parquet(f"{path}/centroids").orderBy("cluster_id").collect()
     return np.array([list(r)[1:] for r in rows]), json.loads(spark.read.text(f"{path}/about").first()[0])
+
+
+def register(spark: SparkSession, ps: PointSet, c: np.ndarray, name: str) -> dict[str, str]:
+    """Temporary views of the points and of the model, by name."""
+    views = {"points": f"{name}_points", "model": f"{name}_model"}
+    ps.df.createOrReplaceTempView(views["points"])
+    spark.createDataFrame([(k, *map(float, row)) for k, row in enumerate(c)], "cluster_id int, " + ", ".join(f"c{i} double" for i in range(c.shape[1]))).createOrReplaceTempView(views["model"])
+    return views
