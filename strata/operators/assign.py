@@ -74,10 +74,19 @@ def by_arrow(ps: PointSet, c: np.ndarray, chunk: int = 65_536) -> DataFrame:
     return ps.df.mapInPandas(kernel, fields + ", cluster_id int, dist2 double")
 
 
-def by_cells(ps: PointSet, regions: DataFrame, c: np.ndarray) -> DataFrame:
+#: Regions times centroids up to which the lists of centroids by region are broadcast.
+MOST_LISTED = 1_000_000
+
+
+def boxes_of(ps: PointSet, regions: DataFrame) -> DataFrame:
+    return regions.groupBy("region_id").agg(*(f(x).alias(f"{n}_{x}") for x in ps.coords for n, f in (("lo", F.min), ("hi", F.max))))
+
+
+def by_cells(ps: PointSet, regions: DataFrame, c: np.ndarray, boxes: DataFrame | None = None) -> DataFrame:
     """Centroids pruned per region by its bounding box: those that some other centroid beats at every corner are
-    not compared. Regions carry lists, which meet the points in a join on the region."""
-    boxes = regions.groupBy("region_id").agg(*(f(x).alias(f"{n}_{x}") for x in ps.coords for n, f in (("lo", F.min), ("hi", F.max))))
+    not compared. Regions carry lists, which meet the points in a join on the region: a broadcast one while regions
+    times centroids stay under MOST_LISTED. `boxes` spares a look for them in every round."""
+    boxes = boxes_of(ps, regions) if boxes is None else boxes
 
     def far(row):
         return sum((F.pow(F.greatest(F.abs(F.col(f"lo_{x}") - float(v)), F.abs(F.col(f"hi_{x}") - float(v))), F.lit(2)) for x, v in zip(ps.coords, row, strict=True)), F.lit(0.0))
@@ -87,6 +96,8 @@ def by_cells(ps: PointSet, regions: DataFrame, c: np.ndarray) -> DataFrame:
 
     most = F.array_min(F.array(*(far(row) for row in c))) * (1 + 1e-9)
     lists = boxes.withColumn("_most", most).select("region_id", F.array_compact(F.array(*(F.when(near(row) <= F.col("_most"), F.struct(F.lit(k).alias("k"), *(F.lit(float(v)).alias(f"x{i}") for i, v in enumerate(row)))) for k, row in enumerate(c)))).alias("_cands"))
+    if boxes.count() * len(c) <= MOST_LISTED:
+        lists = F.broadcast(lists)
     d2 = lambda s: distance2([F.col(x) for x in ps.coords], [s[f"x{k}"] for k in range(ps.d)])
     joined = regions.join(lists, "region_id")
     n = F.array_min(F.transform("_cands", lambda s: F.struct(d2(s).alias("dist2"), s["k"].alias("cluster_id"))))

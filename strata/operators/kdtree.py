@@ -35,28 +35,40 @@ def axis_of(level: int, d: int, axes: str | Sequence[int] = "cycle") -> int:
     return level % d if axes == "cycle" else axes[level % len(axes)]
 
 
+def widest(low: Sequence, high: Sequence) -> int:
+    """The axis of the largest extent, the first among equals."""
+    return max(range(len(low)), key=lambda k: (high[k] - low[k], -k))
+
+
 def build_exact(ps: PointSet, depth: int, axes: str | Sequence[int] = "cycle", partitions: int | None = None) -> DataFrame:
     """Points with region_id, one exchange per level. The first level is a single region, hence one task:
-    use `build_planes_exact` or `build_planes_sampled` on large inputs."""
+    use `build_planes_exact` or `build_planes_sampled` on large inputs. `axes` is 'cycle', 'widest' or a list."""
     df = ps.df.withColumn("region_id", F.lit(1).cast("long"))
     for level in range(depth):
         # the explicit exchange keeps a constant first key from holding all later levels in one task
         df = df.repartition(*((partitions,) if partitions else ()), "region_id")
         w = Window.partitionBy("region_id")
-        rank = F.row_number().over(w.orderBy(f"c{axis_of(level, ps.d, axes)}", "point_id"))
+        if axes == "widest":
+            extents = [F.struct((F.max(c).over(w) - F.min(c).over(w)).alias("e"), F.lit(-k).alias("k")) for k, c in enumerate(ps.coords)]
+            df = df.withColumn("_axis", F.greatest(*extents)["k"] if len(extents) > 1 else F.lit(0))
+            df = df.withColumn("_cut", F.coalesce(*(F.when(F.col("_axis") == -k, F.col(c)) for k, c in enumerate(ps.coords))))
+            rank = F.row_number().over(w.orderBy("_cut", "point_id"))
+        else:
+            rank = F.row_number().over(w.orderBy(f"c{axis_of(level, ps.d, axes)}", "point_id"))
         size = F.count("*").over(w)
-        df = df.withColumn("_right", (rank > F.ceil(size / 2)).cast("long")).withColumn("region_id", F.col("region_id") * 2 + F.col("_right")).drop("_right")
+        df = df.withColumn("_right", (rank > F.ceil(size / 2)).cast("long")).withColumn("region_id", F.col("region_id") * 2 + F.col("_right")).drop("_right", "_axis", "_cut")
     return df
 
 
-def assign_region(ps: PointSet, planes: DataFrame, depth: int, axes: str | Sequence[int] = "cycle") -> DataFrame:
-    """Walks the planes, whose number is bounded by 2^depth, level by level as broadcast lookups."""
+def assign_region(ps: PointSet, planes: DataFrame, depth: int) -> DataFrame:
+    """Walks the planes, whose number is bounded by 2^depth, level by level as broadcast lookups. A region without a
+    plane is a leaf whose points go left."""
     df = ps.df.withColumn("region_id", F.lit(1).cast("long"))
     for level in range(depth):
-        own = planes.filter((F.col("node") >= 1 << level) & (F.col("node") < 2 << level)).select(F.col("node").alias("region_id"), "cut_value", "cut_id")
-        c = F.col(f"c{axis_of(level, ps.d, axes)}")
+        own = planes.filter((F.col("node") >= 1 << level) & (F.col("node") < 2 << level)).select(F.col("node").alias("region_id"), "axis", "cut_value", "cut_id")
+        c = F.coalesce(*(F.when(F.col("axis") == k, F.col(x)) for k, x in enumerate(ps.coords)))
         right = (c > F.col("cut_value")) | ((c == F.col("cut_value")) & (F.col("point_id") > F.col("cut_id")))
-        df = df.join(F.broadcast(own), "region_id", "left").withColumn("region_id", F.col("region_id") * 2 + F.coalesce(right, F.lit(False)).cast("long")).drop("cut_value", "cut_id")
+        df = df.join(F.broadcast(own), "region_id", "left").withColumn("region_id", F.col("region_id") * 2 + F.coalesce(right, F.lit(False)).cast("long")).drop("axis", "cut_value", "cut_id")
     return df
 
 
@@ -71,16 +83,25 @@ def build_planes_exact(ps: PointSet, depth: int, axes: str | Sequence[int] = "cy
     planes = None
     schema = "node long, axis int, cut_value long, cut_id long"
     for level in range(depth):
-        axis = axis_of(level, ps.d, axes)
-        regions = assign_region(ps, planes, level, axes) if level else ps.df.withColumn("region_id", F.lit(1).cast("long"))
-        v = F.col(f"c{axis}").cast("long")
-        ends = {r.region_id: [(r.n + 1) // 2, r.lo, r.hi] for r in regions.groupBy("region_id").agg(F.count("*").alias("n"), F.min(v).alias("lo"), F.max(v).alias("hi")).collect()}
+        regions = assign_region(ps, planes, level) if level else ps.df.withColumn("region_id", F.lit(1).cast("long"))
+        found = regions.groupBy("region_id").agg(F.count("*").alias("n"), *(f(F.col(c).cast("long")).alias(f"{name}{k}") for k, c in enumerate(ps.coords) for name, f in (("lo", F.min), ("hi", F.max)))).collect()
+        if axes == "widest":
+            axis = {r.region_id: widest(*([r[f"{x}{k}"] for k in range(ps.d)] for x in ("lo", "hi"))) for r in found}
+        else:
+            axis = {r.region_id: axis_of(level, ps.d, axes) for r in found}
+        ends = {r.region_id: [(r.n + 1) // 2, r[f"lo{axis[r.region_id]}"], r[f"hi{axis[r.region_id]}"]] for r in found}
+        if len(set(axis.values())) == 1:
+            v = F.col(f"c{next(iter(axis.values()))}").cast("long")
+        else:
+            chosen = F.broadcast(spark.createDataFrame(list(axis.items()), "region_id long, _axis int"))  # one row per region
+            regions = regions.join(chosen, "region_id")
+            v = F.coalesce(*(F.when(F.col("_axis") == k, F.col(c)) for k, c in enumerate(ps.coords))).cast("long")
         values = _select(spark, regions.select("region_id", v.alias("v")), ends, bins)
         at = spark.createDataFrame([(g, x) for g, (x, _) in values.items()], "region_id long, value long")
         tied = regions.select("region_id", v.alias("value"), F.col("point_id").alias("v")).join(F.broadcast(at), ["region_id", "value"])
         ids = {r.region_id: [values[r.region_id][1], r.lo, r.hi] for r in tied.groupBy("region_id").agg(F.min("v").alias("lo"), F.max("v").alias("hi")).collect()}
-        chosen = _select(spark, tied.select("region_id", "v"), ids, bins)
-        rows = [(int(g), axis, int(values[g][0]), int(chosen[g][0])) for g in values]
+        chosen_ids = _select(spark, tied.select("region_id", "v"), ids, bins)
+        rows = [(int(g), axis[g], int(values[g][0]), int(chosen_ids[g][0])) for g in values]
         new = spark.createDataFrame(rows, schema)
         planes = new if planes is None else planes.union(new)
     return planes if planes is not None else spark.createDataFrame([], schema)
@@ -112,34 +133,57 @@ def build_planes_sketch(ps: PointSet, depth: int, accuracy: int = 10_000, axes:
     schema = "node long, axis int, cut_value long, cut_id long"
     for level in range(depth):
         axis = axis_of(level, ps.d, axes)
-        regions = assign_region(ps, planes, level, axes) if level else ps.df.withColumn("region_id", F.lit(1).cast("long"))
+        regions = assign_region(ps, planes, level) if level else ps.df.withColumn("region_id", F.lit(1).cast("long"))
         got = regions.groupBy("region_id").agg(F.percentile_approx(f"c{axis}", 0.5, accuracy).alias("v")).collect()
         new = spark.createDataFrame([(r.region_id, axis, int(r.v), 2**62) for r in got], schema)
         planes = new if planes is None else planes.union(new)
     return planes if planes is not None else spark.createDataFrame([], schema)
 
 
-def build_planes_sampled(ps: PointSet, depth: int, per_leaf: int = 256, seed: int = 0, axes: str | Sequence[int] = "cycle") -> DataFrame:
-    """Planes of a hash sample of `per_leaf` points per region, cut on the driver: their number is bounded by the parameters."""
+def cut_sample(sample, coords: Sequence[str], levels: int, first_level: int = 0, root: int = 1, axes: str | Sequence[int] = "cycle") -> list[tuple]:
+    """Planes (node, axis, cut_value, cut_id) of a pandas frame of points, from `root` on, which lies at `first_level`."""
     import numpy as np
 
-    n = max(1, ps.count())
-    wanted = per_leaf << depth
-    share = min(1.0, wanted / n)
-    kept = ps.df.filter(F.pmod(F.xxhash64("point_id", F.lit(seed)), F.lit(1_000_003)) < int(math.ceil(share * 1_000_003))).select("point_id", *ps.coords).toPandas()
-    rows, parts = [], {1: kept}
-    for level in range(depth):
-        axis, below = axis_of(level, ps.d, axes), {}
+    rows, parts = [], {root: sample}
+    for level in range(first_level, first_level + levels):
+        below = {}
         for node, part in parts.items():
             if part.empty:
                 continue
-            order = np.lexsort((part.point_id.to_numpy(), part[f"c{axis}"].to_numpy()))
+            axis = widest(part[coords].min().tolist(), part[coords].max().tolist()) if axes == "widest" else axis_of(level, len(coords), axes)
+            order = np.lexsort((part.point_id.to_numpy(), part[coords[axis]].to_numpy()))
             cut = (len(order) + 1) // 2
             row = part.iloc[order[cut - 1]]
-            rows.append((node, axis, int(row[f"c{axis}"]), int(row.point_id)))
+            rows.append((node, axis, int(row[coords[axis]]), int(row.point_id)))
             below[2 * node], below[2 * node + 1] = part.iloc[order[:cut]], part.iloc[order[cut:]]
         parts = below
-    return ps.df.sparkSession.createDataFrame(rows, "node long, axis int, cut_value long, cut_id long")
+    return rows
+
+
+def build_planes_sampled(ps: PointSet, depth: int, per_leaf: int = 256, seed: int = 0, axes: str | Sequence[int] = "cycle", on_driver: int = 1 << 16) -> DataFrame:
+    """Planes of a hash sample of `per_leaf` points per region. The top levels, as many as a sample of `on_driver` points
+    serves, are cut on the driver; the levels below by one task for each of their regions, from its own points."""
+    spark, coords, schema = ps.df.sparkSession, list(ps.coords), "node long, axis int, cut_value long, cut_id long"
+    n = max(1, ps.count())
+    top = min(depth, max(1, (on_driver // per_leaf).bit_length() - 1))
+
+    def sampled(levels):
+        share = min(1.0, (per_leaf << levels) / n)
+        return ps.df.filter(F.pmod(F.xxhash64("point_id", F.lit(seed)), F.lit(1_000_003)) < int(math.ceil(share * 1_000_003))).select("point_id", *coords)
+
+    planes = spark.createDataFrame(cut_sample(sampled(top).toPandas(), coords, top, axes=axes), schema)
+    if top == depth:
+        return planes
+
+    def lower(group):
+        import pandas as pd
+
+        rows = cut_sample(group, coords, depth - top, top, int(group.region_id.iloc[0]), axes)
+        return pd.DataFrame(rows, columns=["node", "axis", "cut_value", "cut_id"])
+
+    below = assign_region(PointSet(sampled(depth), ps.d), planes, top)
+    rows = below.groupBy("region_id").applyInPandas(lower, schema).collect()  # under 2^depth rows
+    return planes.union(spark.createDataFrame(rows, schema))
 
 
 def bit_path(region_id: Column) -> Column:

@@ -13,6 +13,10 @@ from strata.functions.points import PointSet
 from strata.operators import assign, kdtree, labeling, localsolver, merge, subset
 
 
+#: Points up to which `tree='auto'` shuffles them once a level.
+AUTO_EXACT = 1_000_000
+
+
 @dataclass
 class Result:
     centroids: np.ndarray
@@ -43,37 +47,44 @@ def random_k(ps: PointSet, k: int, seed: int = 0) -> np.ndarray:
     return np.array([[r[c] for c in ps.coords] for r in ps.df.orderBy(labeling.hashed(seed), "point_id").limit(k).collect()], float)
 
 
-def labelled(ps: PointSet, depth: int, subsets: int | None = None, partition: str = "tree", labels: str = "axis", label_axis: int = 0, ragged: str = "keep", tree: str = "exact", seed: int = 0) -> DataFrame:
+def labelled(ps: PointSet, depth: int, subsets: int | None = None, partition: str = "tree", labels: str = "axis", label_axis: int = 0, ragged: str = "keep", tree: str = "exact", seed: int = 0, axes: str | Sequence[int] = "cycle") -> DataFrame:
     """Points with the subset they belong to."""
     if partition == "random":
         if labels == "axis":
             raise ValueError("without a tree there is no region to order along an axis")
         return labeling.random_partition(ps.df, subsets, seed)
     if tree == "exact":
-        regions = kdtree.build_exact(ps, depth)
+        regions = kdtree.build_exact(ps, depth, axes)
     else:
         build = {"planes": kdtree.build_planes_exact, "sketch": kdtree.build_planes_sketch, "sampled": kdtree.build_planes_sampled}[tree]
-        regions = kdtree.assign_region(ps, build(ps, depth), depth)
+        regions = kdtree.assign_region(ps, build(ps, depth, axes=axes), depth)
     deal = (lambda df: labeling.by_axis(df, label_axis, subsets, ragged)) if labels == "axis" else (lambda df: labeling.by_random(df, seed, subsets, ragged))
     return deal(regions)
 
 
-def subset_kmeans(ps: PointSet, k: int, init: np.ndarray, *, capacity: int | None = None, subsets: int | None = None, regions: int | None = None, partition: str = "tree", tree: str = "exact", labels: str = "axis", label_axis: int = 0, ragged: str = "proportional", max_subsets: int | None = None, solver: str = "plain", kernel: str = "direct", max_iter: int = 100, tol: float = 0.0, empty: str = "keep", asse: str = "sq", how: str = "min_asse", weighted: bool = False, rescore: int = 0, seed: int = 0, n: int | None = None) -> Result:
-    """Stratify, solve each subset in one task, merge."""
+def subset_kmeans(ps: PointSet, k: int, init: np.ndarray, *, capacity: int | None = None, subsets: int | None = None, regions: int | None = None, partition: str = "tree", tree: str = "auto", axes: str | Sequence[int] = "cycle", labels: str = "axis", label_axis: int = 0, ragged: str = "proportional", max_subsets: int | None = None, solver: str = "plain", kernel: str = "direct", max_iter: int = 100, tol: float = 0.0, shift: str = "max", empty: str = "keep", asse: str = "sq", how: str = "min_asse", weighted: bool = False, rescore: int = 0, seed: int = 0, n: int | None = None) -> Result:
+    """Stratify, solve each subset in one task, merge.
+
+    `tree='auto'` cuts up to AUTO_EXACT points level by level, and beyond that by planes from histograms, which are the
+    same cuts without moving points. `how` is min_asse, hierarchical, or grouped for any number of candidates."""
     n = ps.count() if n is None else n
     if n < k:
         raise ValueError(f"{n} points cannot give {k} clusters")
+    if tree == "auto":
+        tree = "exact" if n <= AUTO_EXACT else "planes"
     if tree == "exact" and partition == "tree" and n > kdtree.MOST_EXACT:
         raise ValueError("the level-by-level tree shuffles all points per level: use tree='planes' or 'sampled'")
     depth = kdtree.depth_for(n, capacity, subsets, regions)
     if (1 << depth) < k and partition == "tree" and depth:
         raise ValueError(f"subsets of {1 << depth} points cannot hold {k} distinct centroids")
     m = subsets or max(1, n >> depth)
-    lab = labelled(ps, depth, m, partition, labels, label_axis, ragged, tree, seed)
+    lab = labelled(ps, depth, m, partition, labels, label_axis, ragged, tree, seed, axes)
     solved = lab.filter(F.col("label") <= max_subsets) if max_subsets else lab
-    cands = subset.solve(solved, init, ps.d, max_iter, tol, solver, asse, empty, kernel=kernel).persist()  # K rows per subset, read by merge and report
+    cands = subset.solve(solved, init, ps.d, max_iter, tol, solver, asse, empty, kernel=kernel, shift=shift).persist()  # K rows per subset, read by merge and report
     if how == "hierarchical":
         c = merge.hierarchical(cands, k, ps.d, weighted)
+    elif how == "grouped":
+        c = merge.hierarchical_grouped(cands, k, ps.d)
     elif rescore:
         best = cands.groupBy("subset_id").agg(F.min("asse").alias("asse")).orderBy("asse", "subset_id").limit(rescore).collect()
         tried = [(np.array([[r[x] for x in ps.coords] for r in cands.filter(F.col("subset_id") == b.subset_id).orderBy("cluster_id").collect()]), b.subset_id) for b in best]
@@ -89,21 +100,35 @@ def iterative_kmeans(ps: PointSet, k: int, init: np.ndarray, *, combine: bool =
     most; `combine=True` adds up sums before the shuffle. Centroids are literals, so no round's plan grows."""
     c = np.asarray(init, float).copy()
     result = Result(c)
+    boxes = None
+    if how == "cells":  # read in every round
+        regions = regions.persist()
+        boxes = assign.boxes_of(ps, regions).persist()
     for number in range(1, max(1, max_iter) + 1):
-        a = {"literal": lambda: assign.by_literal(ps, c), "join": lambda: assign.by_join(ps, c), "arrow": lambda: assign.by_arrow(ps, c), "cells": lambda: assign.by_cells(ps, regions, c)}[how]()
+        a = {"literal": lambda: assign.by_literal(ps, c), "join": lambda: assign.by_join(ps, c), "arrow": lambda: assign.by_arrow(ps, c), "cells": lambda: assign.by_cells(ps, regions, c, boxes)}[how]()
         if combine:
             rows = a.groupBy("cluster_id").agg(F.count("*").alias("n"), F.sum(F.floor("dist2")).alias("sse"), *(F.sum(x).cast("double").alias(x) for x in ps.coords)).collect()
         else:
             coords = ps.coords
 
-            def mean(group):
+            def mean(batches):
+                """Sums by cluster of the points that reached this reducer, batch by batch."""
                 import numpy as np
                 import pandas as pd
 
-                return pd.DataFrame({"cluster_id": [group.cluster_id.iloc[0]], "n": [len(group)], "sse": [int(np.floor(group.dist2).sum())], **{x: [float(group[x].sum())] for x in coords}})
+                total: dict[int, list] = {}
+                for pdf in batches:
+                    for k, part in pdf.groupby("cluster_id"):
+                        own = total.setdefault(int(k), [0, 0, *(0.0 for _ in coords)])
+                        own[0] += len(part)
+                        own[1] += int(np.floor(part.dist2).sum())
+                        for i, x in enumerate(coords):
+                            own[2 + i] += float(part[x].sum())
+                if total:
+                    yield pd.DataFrame([(k, *v) for k, v in total.items()], columns=["cluster_id", "n", "sse", *coords])
 
             dealt = a.select("cluster_id", "dist2", *coords).repartitionById(k, "cluster_id")
-            rows = dealt.groupBy("cluster_id").applyInPandas(mean, "cluster_id int, n long, sse long, " + ", ".join(f"{x} double" for x in coords)).collect()
+            rows = dealt.mapInPandas(mean, "cluster_id int, n long, sse long, " + ", ".join(f"{x} double" for x in coords)).collect()
         new = c.copy()
         for r in rows:
             new[r.cluster_id] = [r[x] / r["n"] for x in ps.coords]
@@ -112,6 +137,9 @@ def iterative_kmeans(ps: PointSet, k: int, init: np.ndarray, *, combine: bool =
         c = new
         if moved <= tol:
             break
+    if how == "cells":
+        regions.unpersist()
+        boxes.unpersist()
     result.centroids, result.rounds = c, len(result.trace)
     return result
 
