@@ -2,7 +2,6 @@
 
 from __future__ import annotations
 
-import itertools
 import json
 import math
 
@@ -34,11 +33,41 @@ def purity(predicted: DataFrame, truth: str = "truth") -> DataFrame:
     return n.groupBy("cluster_id").agg(F.max("n").alias("most"), F.sum("n").alias("all")).agg((F.sum("most") / F.sum("all")).alias("purity"))
 
 
+def cheapest_pairing(cost: np.ndarray) -> list[int]:
+    """For each row its column, of least total cost, by shortest augmenting paths: cubic in the number of rows."""
+    n = len(cost)
+    row_price, col_price = np.zeros(n + 1), np.zeros(n + 1)
+    row_of = np.zeros(n + 1, int)  # by column; column 0 is where a search starts
+    for row in range(1, n + 1):
+        row_of[0], col = row, 0
+        slack, came, done = np.full(n + 1, np.inf), np.zeros(n + 1, int), np.zeros(n + 1, bool)
+        while row_of[col]:
+            done[col] = True
+            here = row_of[col]
+            open_ = np.flatnonzero(~done[1:]) + 1
+            reach = cost[here - 1, open_ - 1] - row_price[here] - col_price[open_]
+            better = reach < slack[open_]
+            slack[open_[better]], came[open_[better]] = reach[better], col
+            following = open_[np.argmin(slack[open_])]
+            step = slack[following]
+            row_price[row_of[done]] += step
+            col_price[done] -= step
+            slack[~done] -= step
+            col = following
+        while col:
+            row_of[col] = row_of[came[col]]
+            col = came[col]
+    out = [0] * n
+    for col in range(1, n + 1):
+        out[row_of[col] - 1] = col - 1
+    return out
+
+
 def centroid_match(a: np.ndarray, b: np.ndarray) -> tuple[list[int], float]:
-    """The pairing of two small sets of centroids with the least total distance, and the largest distance in it."""
+    """The pairing of two sets of centroids with the least total distance, and the largest distance in it."""
     d = np.sqrt(((a[:, None, :] - b[None, :, :]) ** 2).sum(2))
-    best = min(itertools.permutations(range(len(b))), key=lambda p: sum(d[i, j] for i, j in enumerate(p)))
-    return list(best), float(max(d[i, j] for i, j in enumerate(best)))
+    best = cheapest_pairing(d)
+    return best, float(max(d[i, j] for i, j in enumerate(best)))
 
 
 def rank_combinations(grid: DataFrame) -> DataFrame:
@@ -77,6 +106,45 @@ def model_volume(n: int, depth: int, rounds: int, k: int, partitions: int) -> di
     return {"method_exact": n * (depth + 2), "method_planes": 2 * n, "baseline_raw": n * rounds, "baseline_combined": k * partitions * rounds}
 
 
+class Costs:
+    """What Spark did inside a `with` block, from the session's own status store: jobs, stages, tasks, bytes and time.
+
+    `moved` is all bytes read, written, shuffled and spilled; the shares of time say where it went."""
+
+    def __init__(self, spark):
+        self.sc = spark.sparkContext
+        self.jvm = self.sc._jvm
+        self.store = self.sc._jsc.sc().statusStore()
+
+    def _seen(self, kind) -> int:
+        return max((x.jobId() if kind == "job" else x.stageId() for x in self._list(kind)), default=-1)
+
+    def _list(self, kind):
+        self.sc._jsc.sc().listenerBus().waitUntilEmpty()
+        none = self.jvm.java.util.ArrayList()
+        found = self.store.jobsList(none) if kind == "job" else self.store.stageList(none, False, False, self.sc._gateway.new_array(self.jvm.double, 0), none)
+        return [found.apply(k) for k in range(found.size())]
+
+    def __enter__(self):
+        import time
+
+        self.jobs_before, self.stages_before, self.began = self._seen("job"), self._seen("stage"), time.perf_counter()
+        return self
+
+    def __exit__(self, *_):
+        import time
+
+        self.ms = int(1000 * (time.perf_counter() - self.began))
+        self.jobs = sum(x.jobId() > self.jobs_before for x in self._list("job"))
+        own = [x for x in self._list("stage") if x.stageId() > self.stages_before and x.status().toString() == "COMPLETE"]
+        self.stages, self.exchanges = len(own), sum(x.shuffleWriteBytes() > 0 for x in own)
+        add = lambda name: int(sum(getattr(x, name)() for x in own))
+        self.tasks, self.run_ms = add("numCompleteTasks"), add("executorRunTime")
+        self.input_bytes, self.output_bytes, self.shuffle_write, self.shuffle_read, self.spill = map(add, ("inputBytes", "outputBytes", "shuffleWriteBytes", "shuffleReadBytes", "diskBytesSpilled"))
+        self.shuffle_rows, self.start_ms, self.gc_ms, self.wait_ms = add("shuffleWriteRecords"), add("executorDeserializeTime"), add("jvmGcTime"), add("shuffleFetchWaitTime")
+        self.moved = self.input_bytes + self.output_bytes + self.shuffle_write + self.shuffle_read + self.spill
+
+
 def ledger(events_path: str) -> list[dict]:
     """Per stage of an uncompressed event log: tasks, milliseconds, bytes read, shuffled and spilled."""
     stages: dict[int, dict] = {}

@@ -7,9 +7,12 @@ import pandas as pd
 from pyspark.sql import Window
 from pyspark.sql import functions as F
 
-from strata.functions.points import table
+from strata.functions.points import PointSet, table
 from strata.operators import assign
-from strata.plans.queries import query
+from strata.plans import kmeans
+from strata.plans import queries as core
+from strata.plans.queries import ps_of, query
+from strata.sources import files
 from strata.streaming import events as ev
 
 c = F.col
@@ -140,6 +143,61 @@ def udf_nearest(s, d):
     return s.sql("SELECT nearest_centroid(c_acctbal * 100, c_nationkey) AS cluster_id, count(*) AS n FROM strata_customer GROUP BY 1")
 
 
+_NEAR = "SELECT c_custkey, CASE WHEN pow(round(c_acctbal * 100), 2) <= pow(round(c_acctbal * 100) - 500000, 2) THEN 0 ELSE 1 END k, least(pow(round(c_acctbal * 100), 2), pow(round(c_acctbal * 100) - 500000, 2)) d FROM customer"
+
+
+@query("udaf_asse", f"SELECT k cluster_id, count(*) points, sum(floor(d)) / count(*) asse FROM ({_NEAR}) GROUP BY 1")
+def udaf_asse(s, d):
+    """The average error of a group and its size, as Arrow aggregates."""
+
+    @F.pandas_udf("double")
+    def asse(d2: pd.Series) -> float:
+        return float(np.floor(d2.to_numpy()).sum() / len(d2))
+
+    @F.pandas_udf("long")
+    def points(d2: pd.Series) -> int:
+        return len(d2)
+
+    ps = ps_of(s, d, "customer2d")
+    one = PointSet(ps.df.select("point_id", "c0"), 1)
+    return assign.by_literal(one, np.array([[0.0], [500_000.0]])).groupBy("cluster_id").agg(points("dist2").alias("points"), asse("dist2").alias("asse"))
+
+
+@query("cogroup_models", f"SELECT a.cluster_id, count(*) subsets, round(max(sqrt((a.c0 - b.c0) * (a.c0 - b.c0) + (a.c1 - b.c1) * (a.c1 - b.c1))), 3) largest_shift FROM ({core.chain('gauss3k', 6, 46, core._S1, core.T_GAUSS).select('SELECT subset_id, cluster_id::INT cluster_id, c0, c1 FROM cand')}) a JOIN ({core.plain('gauss3k', core._S1, core.T_GAUSS).select('SELECT cluster_id::INT cluster_id, c0, c1 FROM model')}) b USING (cluster_id) GROUP BY 1")
+def cogroup_models(s, d):
+    """The centroids of all subsets beside the baseline's, one cogroup for each cluster."""
+    ps, cands = core.candidates(s, d, "gauss3k", 6, 46, core._S1, core.T_GAUSS)
+    base = core.rows(s, kmeans.iterative_kmeans(ps, 4, kmeans.of_ids(ps, core._S1), max_iter=core.T_GAUSS).centroids)
+
+    def compare(a: pd.DataFrame, b: pd.DataFrame) -> pd.DataFrame:
+        far = np.sqrt(((a[["c0", "c1"]].to_numpy() - b[["c0", "c1"]].to_numpy()) ** 2).sum(1)).max()
+        return pd.DataFrame({"cluster_id": a.cluster_id.iloc[:1], "subsets": [len(a)], "largest_shift": [round(far, 3)]})
+
+    return cands.select("cluster_id", "c0", "c1").groupBy("cluster_id").cogroup(base.groupBy("cluster_id")).applyInPandas(compare, "cluster_id int, subsets long, largest_shift double")
+
+
+@query("sql_registered", "SELECT c1 AS nation, count(*) AS n FROM (SELECT round(c_acctbal * 100)::BIGINT c0, c_nationkey::BIGINT c1 FROM customer) WHERE c0 >= 250000 GROUP BY 1")
+def sql_registered(s, d):
+    """Points and model as views, and a statement with a parameter."""
+    views = files.register(s, ps_of(s, d, "customer2d"), np.array([[0.0, 0.0], [500_000.0, 10.0]]), "strata_c")
+    got = s.sql(f"SELECT c1 AS nation, count(*) AS n FROM {views['points']} WHERE c0 >= (SELECT :share * max(c0) FROM {views['model']}) GROUP BY 1", args={"share": 0.5})
+    return got
+
+
+@query("win_lag_sse_rounds", core.plain("gauss3k", core.INITIAL[5], core.T_GAUSS).select("SELECT round, sse, sse - lag(sse) OVER (ORDER BY round) change FROM (" + " UNION ALL ".join(f"SELECT {r} round, sum(floor(b.d)::BIGINT)::BIGINT sse FROM a{r}" for r in range(1, 6)) + ")"))
+def win_lag_sse_rounds(s, d):
+    """The change of the error from round to round."""
+    ps = ps_of(s, d, "gauss3k")
+    r = kmeans.iterative_kmeans(ps, 4, kmeans.of_ids(ps, core.INITIAL[5]), max_iter=5)
+    return s.createDataFrame([(n, e) for n, e, _ in r.trace], "round int, sse long").withColumn("change", F.col("sse") - F.lag("sse").over(Window.orderBy("round")))
+
+
+@query("agg_rollup_grid")
+def agg_rollup_grid(s, d):
+    """The option grid's errors, averaged over fewer and fewer options."""
+    return core.grid_sse(s, d).rollup("partition", "labels", "how").agg(F.count("*").alias("runs"), F.avg("sse").alias("sse"))
+
+
 # Streams, run to their end.
 
 _CENTRES = np.array([[1000.0, 10_000.0], [5000.0, 40_000.0], [15_000.0, 70_000.0]])
@@ -156,3 +214,4 @@ query("stream_sliding", f"SELECT epoch_us(time_bucket(INTERVAL 1 HOUR, ts) - k *
 query("stream_session", "WITH g AS (SELECT *, sum(new) OVER (PARTITION BY user_id ORDER BY ts, event_id) k FROM (SELECT *, CASE WHEN ts - lag(ts) OVER (PARTITION BY user_id ORDER BY ts, event_id) < INTERVAL 30 MINUTE THEN 0 ELSE 1 END new FROM events)) SELECT user_id, epoch_us(min(ts)) start_us, count(*) n FROM g GROUP BY user_id, k")(lambda s, d: ev.run_to_end(ev.sessions(ev.stream(s, d)), _name(), "complete"))
 query("stream_dedup", "SELECT event_id FROM events")(lambda s, d: ev.run_to_end(ev.deduplicated(ev.stream(s, d)).select("event_id"), _name()))
 query("stream_running_centroids", f"SELECT cluster_id, count(*) n, sum(c0)::BIGINT s_c0, sum(c1)::BIGINT s_c1 FROM {_SCORED} GROUP BY 1")(lambda s, d: ev.run_to_end(ev.running_sums(ev.stream(s, d), _CENTRES), _name(), "complete"))
+query("stream_static_join", "SELECT c_mktsegment, count(*) n FROM events JOIN customer ON c_custkey = user_id GROUP BY 1")(lambda s, d: ev.run_to_end(ev.stream(s, d).join(table(s, d, "customer").select("c_custkey", "c_mktsegment"), F.col("user_id") == F.col("c_custkey")).groupBy("c_mktsegment").agg(F.count("*").alias("n")), _name(), "complete"))

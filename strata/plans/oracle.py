@@ -59,11 +59,16 @@ class Chain:
     def select(self, sql: str) -> str:
         return "WITH " + ",\n".join(self.steps) + "\n" + sql
 
-    def tree(self, depth: int) -> "Chain":
+    def tree(self, depth: int, widest: bool = False) -> "Chain":
         c = cols(self.d)
         self.add("t0", f"SELECT point_id, {c}, 1::BIGINT region_id FROM p")
         for level in range(depth):
-            ranked = f"SELECT *, row_number() OVER (PARTITION BY region_id ORDER BY c{level % self.d}, point_id) rn, count(*) OVER (PARTITION BY region_id) n FROM t{level}"
+            by, source = f"c{level % self.d}", f"t{level}"
+            if widest:  # the first of the widest axes
+                extents = ", ".join(f"max(c{k}) OVER w - min(c{k}) OVER w e{k}" for k in range(self.d))
+                source = f"(SELECT *, {extents} FROM t{level} WINDOW w AS (PARTITION BY region_id))"
+                by = "CASE " + " ".join(f"WHEN e{k} >= greatest({cols(self.d, 'e')}) THEN c{k}" for k in range(self.d)) + " END"
+            ranked = f"SELECT *, row_number() OVER (PARTITION BY region_id ORDER BY {by}, point_id) rn, count(*) OVER (PARTITION BY region_id) n FROM {source}"
             self.add(f"t{level + 1}", f"SELECT point_id, {c}, region_id * 2 + CASE WHEN rn > (n + 1) // 2 THEN 1 ELSE 0 END region_id FROM ({ranked})")
         return self.add("regions", f"SELECT * FROM t{depth}")
 
@@ -105,6 +110,12 @@ class Chain:
         self.add("per", f"SELECT s, sum(floor(b.d)::BIGINT)::DOUBLE / count(*) asse, sum(sqrt(b.d)) / count(*) asse_dist, count(*) n FROM a{n + 1} GROUP BY 1")
         return self.add("cand", f"SELECT s subset_id, k cluster_id, {', '.join(f'x{i} c{i}' for i in range(d))}, coalesce(members, 0)::BIGINT members, coalesce(sse, 0)::BIGINT sse, asse, asse_dist, n FROM m{n} LEFT JOIN own USING (s, k) JOIN per USING (s)")
 
+    def settled(self, n: int) -> "Chain":
+        """After `rounds(n)`: the first round of each subset that moved no centroid."""
+        moved = " OR ".join(f"a.x{i} <> b.x{i}" for i in range(self.d))
+        each = " UNION ALL ".join(f"SELECT a.s, {r} r, bool_or({moved}) moved FROM m{r - 1} a JOIN m{r} b USING (s, k) GROUP BY a.s" for r in range(1, n + 1))
+        return self.add("settled", f"SELECT s, min(r) FILTER (NOT moved) rounds FROM ({each}) GROUP BY s")
+
     def best(self, by: str = "asse") -> "Chain":
         self.add("top", f"SELECT min({{'e': {by}, 's': subset_id}}).s s FROM cand")
         return self.add("model", f"SELECT cluster_id, {cols(self.d)} FROM cand, top WHERE subset_id = s")

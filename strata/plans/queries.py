@@ -80,6 +80,40 @@ region_query("edge_tree_small", "nation1d", 3)
 region_query("edge_no_split", "region1d", 0)
 
 
+query("kd_region_widest", Chain("customer2d").tree(5, widest=True).select("SELECT point_id, region_id FROM regions"))(lambda s, d: kdtree.build_exact(ps_of(s, d, "customer2d"), 5, "widest").select("point_id", "region_id"))
+query("kd_planes_widest", ORACLES["kd_region_widest"])(lambda s, d: kdtree.assign_region(ps := ps_of(s, d, "customer2d"), kdtree.build_planes_exact(ps, 5, "widest"), 5).select("point_id", "region_id"))
+#: A column whose values are all equal is never the widest; cut in turn it still gives regions of equal size, by ids.
+_FLAT = "SELECT point_id, c0, 7::BIGINT c1 FROM p"
+
+
+def flat(s, d) -> PointSet:
+    return PointSet(ps_of(s, d, "customer2d").df.withColumn("c1", F.lit(7).cast("long")), 2)
+
+
+query("edge_constant_column", Chain("customer2d").add("q", _FLAT).select("SELECT 1").replace("SELECT 1", "SELECT count(*) regions, max(n) - min(n) <= 1 even FROM (SELECT count(*) n FROM (SELECT CASE WHEN rn > (n + 1) // 2 THEN 1 ELSE 0 END r FROM (SELECT *, row_number() OVER (ORDER BY c0, point_id) rn, count(*) OVER () n FROM q)) GROUP BY r)"))(lambda s, d: kdtree.build_exact(flat(s, d), 1).groupBy("region_id").count().agg(F.count("*").alias("regions"), (F.max("count") - F.min("count") <= 1).alias("even")))
+query("edge_duplicates", Chain("customer2d", "point_id < 200").add("two", "SELECT point_id * 2 point_id, c0, c1 FROM p UNION ALL SELECT point_id * 2 + 1, c0, c1 FROM p").select("SELECT count(*) points, count(DISTINCT (c0, c1)) places FROM two"))(lambda s, d: (lambda ps: labeling.by_axis(kdtree.build_exact(PointSet(ps.withColumn("point_id", F.explode(F.array(F.col("point_id") * 2, F.col("point_id") * 2 + 1))), 2), 3)).agg(F.count("*").alias("points"), F.count_distinct("c0", "c1").alias("places")))(ps_of(s, d, "customer2d").df.filter("point_id < 200")))
+
+
+@query("edge_more_clusters_than_points", "SELECT count(*) regions, true refused FROM region")
+def edge_more_clusters_than_points(s, d):
+    """K over n is refused; what is asked for would have empty clusters only."""
+    ps = ps_of(s, d, "region1d")
+    try:
+        kmeans.subset_kmeans(ps, 6, np.zeros((6, 1)), subsets=1, partition="random", labels="random")
+        refused = False
+    except ValueError:
+        refused = True
+    return ps.df.agg(F.count("*").alias("regions")).withColumn("refused", F.lit(refused))
+
+
+@query("edge_as_many_clusters_as_points", "SELECT 0::BIGINT sse")
+def edge_as_many_clusters_as_points(s, d):
+    """K = n: every point is its own centroid."""
+    ps = ps_of(s, d, "region1d")
+    r = kmeans.subset_kmeans(ps, 5, kmeans.first_k(ps, 5), subsets=1, partition="random", labels="random")
+    return kmeans.sse(ps, r.centroids)
+
+
 @query("kd_planes_exact", Chain("lineitem2d").tree(4).select("SELECT point_id, region_id FROM regions"))
 def kd_planes_exact(s, d):
     ps = ps_of(s, d, "lineitem2d")
@@ -167,7 +201,7 @@ for _solver in ("bounds", "kdfilter"):
     query(f"subset_candidates_{_solver}", chain("orders2d", 6, None, (0, 1, 2), T_REAL, "keep").select(_CAND.format(c=cols(2))))(lambda s, d, v=_solver: candidates(s, d, "orders2d", 6, None, (0, 1, 2), T_REAL, "keep", solver=v)[1].select("subset_id", "cluster_id", "c0", "c1", "members", "sse"))
 query("asse_sq", chain("gauss3k", 6, 46, _S1, T_GAUSS).select("SELECT DISTINCT subset_id, asse FROM cand"))(lambda s, d: candidates(s, d, "gauss3k", 6, 46, _S1, T_GAUSS)[1].select("subset_id", "asse").distinct())
 query("asse_dist", chain("gauss3k", 6, 46, _S1, T_GAUSS).select("SELECT DISTINCT subset_id, round(asse_dist, 3) asse FROM cand"))(lambda s, d: candidates(s, d, "gauss3k", 6, 46, _S1, T_GAUSS, asse="dist")[1].select("subset_id", F.round("asse", 3).alias("asse")).distinct())
-query("rounds_per_subset")(lambda s, d: candidates(s, d, "gauss3k", 7, 23, _S1, 100)[1].select("subset_id", "rounds", "converged").distinct())
+query("rounds_per_subset", chain("gauss3k", 7, 23, _S1, T_GAUSS).settled(T_GAUSS).select("SELECT s subset_id, rounds::INT rounds, rounds IS NOT NULL converged FROM settled"))(lambda s, d: candidates(s, d, "gauss3k", 7, 23, _S1, 100)[1].select("subset_id", "rounds", "converged").distinct())
 
 
 def model_query(name, fixture, depth, m, init, t=T_GAUSS, how="min_asse", by="asse", **kw):
@@ -195,6 +229,11 @@ def sse_query(name, fixture, depth, m, init, t=T_GAUSS, how="min_asse", where=No
 model_query("merge_min_asse", "gauss3k", 6, 46, _S1)
 model_query("merge_min_asse_dist", "gauss3k", 6, 46, _S1, by="asse_dist")
 model_query("merge_hierarchical", "gauss3k", 9, 5, _S1, how="hierarchical")
+_HIER = chain("gauss3k", 9, 5, _S1, T_GAUSS).merged(20, 4).select(R.format(c="c0, c1"))
+query("merge_hierarchical_distributed", _HIER)(lambda s, d: rows(s, merge.hierarchical_distributed(candidates(s, d, "gauss3k", 9, 5, _S1, T_GAUSS)[1], 4, 2)))
+query("merge_hierarchical_one_group", _HIER)(lambda s, d: rows(s, merge.hierarchical_grouped(candidates(s, d, "gauss3k", 9, 5, _S1, T_GAUSS)[1], 4, 2, weighted=False)))
+query("merge_hierarchical_grouped")(lambda s, d: kmeans.sse(ps := ps_of(s, d, "gauss15k"), kmeans.subset_kmeans(ps, 4, kmeans.of_ids(ps, _S1), regions=64, how="grouped").centroids))
+query("merge_hierarchical_weighted")(lambda s, d: kmeans.sse(ps := ps_of(s, d, "gauss3k"), merge.hierarchical(candidates(s, d, "gauss3k", 6, 46, _S1, T_GAUSS)[1], 4, 2, weighted=True)))
 model_query("subset_kmeans_flagship", "orders2d", 6, 15, (0, 1, 2), T_REAL)
 model_query("random_partition_kmeans", "gauss3k", 6, 46, _S1, partition="random", labels="random")
 model_query("tree_random_kmeans", "gauss3k", 6, 46, _S1, labels="random")
@@ -305,6 +344,18 @@ for _depth, _m in ((8, 11), (7, 23), (6, 46), (5, 93)):
     sse_query(f"w2_sse_{_m}_subsets", "gauss3k", _depth, _m, _S1)
 for _depth, _m in ((8, 58), (7, 117), (6, 234), (5, 468), (4, 937)):
     sse_query(f"w4_sse_{_m}_subsets", "gauss15k", _depth, _m, _S1)
+# The baseline's error from each start, the setting of six subsets (five of one point per region and one of the rest), and one machine.
+for _i in INITIAL:
+    query(f"w1_baseline_init{_i}", plain("gauss3k", INITIAL[_i], T_GAUSS).scored().select(SSE))(lambda s, d, i=_i: kmeans.sse(ps := ps_of(s, d, "gauss3k"), kmeans.iterative_kmeans(ps, 4, kmeans.of_ids(ps, INITIAL[i]), max_iter=T_GAUSS).centroids))
+sse_query("w2_sse_6_subsets", "gauss3k", 9, None, _S1, ragged="keep")
+for _name, _run in (("w4_single_machine", kmeans.single_machine), ("w4_baseline", kmeans.iterative_kmeans)):
+    query(_name, plain("gauss15k", _S1, T_GAUSS).scored().select(SSE))(lambda s, d, run=_run: kmeans.sse(ps := ps_of(s, d, "gauss15k"), run(ps, 4, kmeans.of_ids(ps, _S1), max_iter=T_GAUSS).centroids))
+# The option grid: random labels with and without a tree at all five subset counts, and hierarchical merging where SQL can unroll it.
+for _depth, _m in ((9, 5), (8, 11), (7, 23), (6, 46), (5, 93)):
+    sse_query(f"w3_random_labels_{_m}", "gauss3k", _depth, _m, _S1, labels="random", seed=1)
+    sse_query(f"w3_no_tree_{_m}", "gauss3k", _depth, _m, _S1, partition="random", labels="random", seed=1)
+sse_query("w3_random_labels_hierarchical", "gauss3k", 9, 5, _S1, how="hierarchical", labels="random", seed=1)
+sse_query("w3_no_tree_hierarchical", "gauss3k", 9, 5, _S1, how="hierarchical", partition="random", labels="random", seed=1)
 sse_query("w3_random_labels", "gauss3k", 6, 46, _S1, labels="random", seed=1)
 sse_query("w3_no_tree", "gauss3k", 6, 46, _S1, partition="random", labels="random", seed=1)
 sse_query("w3_hierarchical", "gauss3k", 9, 5, _S1, how="hierarchical")
@@ -320,7 +371,10 @@ def w5_figure_rows(s, d):
     return part("centroid", rows(s, r.centroids), "cluster_id").union(part("initial", rows(s, c0), "cluster_id")).union(part("subset 2", labeling.subset(r.labelled, 2), "point_id"))
 
 
-@query("w7_rounds")
+_EASY = Chain("gauss3k").whole().start(rows=_C.tolist()).rounds(10).settled(10).select("SELECT rounds::INT rounds, (SELECT sum(floor(b.d)::BIGINT)::BIGINT FROM a10) sse FROM settled")
+
+
+@query("w7_rounds", _EASY)
 def w7_rounds(s, d):
     """An easy start: the baseline ends after a few rounds."""
     ps = ps_of(s, d, "gauss3k")
@@ -328,18 +382,80 @@ def w7_rounds(s, d):
     return s.createDataFrame([(r.rounds, r.trace[-1][1])], "rounds int, sse long")
 
 
+#: Where the points of a cost run lie: read anew by every job, as the compared implementations do.
+COST_COLUMNS = "run string, experiment int, rounds int, jobs int, exchanges int, tasks int, ms int, bytes_moved long, bytes_shuffled long, rows_shuffled long, sse long"
+
+
+def cost_rows(s, ps: PointSet, experiment: int, init, depth: int) -> list[tuple]:
+    """One row for the method, and one each for the baseline with and without sums before the shuffle."""
+    out = []
+    n = ps.count()
+    runs = (
+        ("method", lambda: kmeans.subset_kmeans(ps, 4, init, regions=1 << depth, n=n, max_iter=100)),
+        ("baseline", lambda: kmeans.iterative_kmeans(ps, 4, init, combine=False)),
+        ("baseline, combined", lambda: kmeans.iterative_kmeans(ps, 4, init)),
+    )
+    for name, run in runs:
+        with measures.Costs(s) as c:
+            r = run()
+        out.append((name, experiment, r.rounds, c.jobs, c.exchanges, c.tasks, c.ms, c.moved, c.shuffle_write, c.shuffle_rows, int(kmeans.sse(ps, r.centroids).first()[0])))
+        if r.candidates is not None:
+            r.candidates.unpersist()
+    return out
+
+
+@query("w1_costs")
+def w1_costs(s, d):
+    """Five starts: jobs, time, bytes and error of the method and the baselines."""
+    ps = ps_of(s, d, "gauss3k")
+    return s.createDataFrame([row for i in INITIAL for row in cost_rows(s, ps, i, kmeans.of_ids(ps, INITIAL[i]), 9)], COST_COLUMNS)
+
+
+@query("w1_cost_ratios")
+def w1_cost_ratios(s, d):
+    """The method's share of the baseline's jobs, time, bytes and error, by experiment."""
+    c = w1_costs(s, d)
+    a, b = c.filter("run = 'method'"), c.filter("run = 'baseline'")
+    share = lambda x: F.round(F.col(f"a.{x}") / F.col(f"b.{x}"), 4).alias(f"{x}_ratio")
+    return a.alias("a").join(b.alias("b"), "experiment").select("experiment", F.col("b.rounds").alias("baseline_rounds"), *map(share, ("jobs", "ms", "bytes_moved", "rows_shuffled", "sse")))
+
+
+@query("w2_costs")
+def w2_costs(s, d):
+    """Growing subset counts: time, bytes and error of each."""
+    ps, out = ps_of(s, d, "gauss3k"), []
+    init, n = kmeans.of_ids(ps, _S1), ps.count()
+    for depth in GRID_DEPTHS:
+        with measures.Costs(s) as c:
+            r = kmeans.subset_kmeans(ps, 4, init, regions=1 << depth, n=n)
+        out.append((n >> depth, c.jobs, c.ms, c.run_ms, c.start_ms, c.wait_ms, c.moved, c.shuffle_rows, int(kmeans.sse(ps, r.centroids).first()[0])))
+        r.candidates.unpersist()
+    return s.createDataFrame(out, "subsets int, jobs int, ms int, run_ms int, start_ms int, wait_ms int, bytes_moved long, rows_shuffled long, sse long")
+
+
+@query("cost_counted_jobs")
+def cost_counted_jobs(s, d):
+    """Exchanges of points counted in a run, next to the closed form: of the tree, the labels and the subsets."""
+    ps = ps_of(s, d, "gauss3k")
+    init, n, out = kmeans.of_ids(ps, _S1), ps.count(), []
+    for depth in (9, 7, 5):
+        with measures.Costs(s) as c:
+            r = kmeans.subset_kmeans(ps, 4, init, regions=1 << depth, tree="exact", n=n)
+        r.candidates.unpersist()
+        out.append((depth, depth + 2, c.exchanges, c.shuffle_rows, n * (depth + 2)))
+    return s.createDataFrame(out, "depth int, modelled int, counted int, rows_shuffled long, rows_modelled long")
+
+
 @query("w6_shuffle_growth")
 def w6_shuffle_growth(s, d):
-    """Milliseconds to deal out growing shares of a table by key."""
-    import time
-
-    df = fn.table(s, d, "lineitem")
-    n, out = df.count(), []
-    for share in (100, 10, 1):
-        t = time.perf_counter()
-        got = df.filter(F.pmod("l_orderkey", F.lit(share)) == 0).repartition(8, "l_partkey").groupBy(F.spark_partition_id()).count().agg(F.sum("count")).first()[0]
-        out.append((n // share, int(got or 0), int(1000 * (time.perf_counter() - t))))
-    return s.createDataFrame(out, "about long, shuffled long, ms long")
+    """Rows, bytes and milliseconds to deal out one, ten and a hundred copies of a table's points by key."""
+    points, out = ps_of(s, d, "events2d").df, []
+    for times in (1, 10, 100):
+        grown = points.withColumn("copy", F.explode(F.sequence(F.lit(1), F.lit(times))))
+        with measures.Costs(s) as c:
+            got = grown.repartition(8, "point_id").groupBy(F.spark_partition_id()).count().agg(F.sum("count")).first()[0]
+        out.append((int(got), c.shuffle_write, c.ms))
+    return s.createDataFrame(out, "rows long, bytes_shuffled long, ms int")
 
 
 @query("tradeoff")
@@ -449,6 +565,25 @@ converged_model("subset_kmeans_planes", "orders2d", 6, 15, (0, 1, 2), tree="plan
 for _name, *_at in (("w9_lineitem", "lineitem2d", 8, 20, (1, 2, 3)), ("w10_orders", "orders2d", 6, 20, (0, 1, 2)), ("w11_events", "events2d", 6, 15, (0, 1, 2)), ("w12_embed8", "embed8", 4, 20, (0, 1, 2)), ("w13_customer", "customer2d", 5, 10, (0, 1, 2)), ("w13_part", "part2d", 5, 10, (0, 1, 2)), ("w13_supplier", "supplier1d", 2, 4, (0, 1)), ("w14_documents", "docs2d", 4, 12, (0, 1, 2))):
     converged_model(_name, *_at)
 
+# Clusters of documents next to their labels, and of the other texts by their lengths.
+_D14 = np.array([[500.0, 80.0], [3000.0, 500.0], [12_000.0, 2000.0]])
+_W14 = Chain("docs2d").add("model", " UNION ALL ".join(f"SELECT {k} cluster_id, {a!r}::DOUBLE c0, {b!r}::DOUBLE c1" for k, (a, b) in enumerate(_D14.tolist()))).scored().select("SELECT b.k::INT cluster_id, count(*) points, count(quality) labelled, count(*) FILTER (quality = 1) good, count(*) FILTER (toxic = 1) toxic FROM scored LEFT JOIN labels ON doc_id = point_id GROUP BY 1")
+query("w14_labels", _W14)(lambda s, d: assign.by_literal(ps_of(s, d, "docs2d"), _D14).join(fn.table(s, d, "labels"), F.col("doc_id") == F.col("point_id"), "left").groupBy("cluster_id").agg(F.count("*").alias("points"), F.count("quality").alias("labelled"), F.count_if(F.col("quality") == 1).alias("good"), F.count_if(F.col("toxic") == 1).alias("toxic")))
+_LENGTHS = " UNION ALL ".join(f"SELECT '{t}' source, {i}::BIGINT id, length({c})::BIGINT c0, len(string_split({c}, ' '))::BIGINT c1 FROM {t}" for t, i, c in (("pages", "page_id", "html"), ("benchmark", "item_id", "text")))
+query("w14_lengths", f"SELECT source, count(*) points, sum(c0)::BIGINT chars, max(c1) most_words FROM ({_LENGTHS}) GROUP BY 1")(lambda s, d: fn.lengths(s, d).groupBy("source").agg(F.count("*").alias("points"), F.sum("c0").alias("chars"), F.max("c1").alias("most_words")))
+
+
+@query("w14_texts_converged")
+def w14_texts_converged(s, d):
+    """Pages and conversations by length, each clustered by the method."""
+    out = []
+    for name in ("pages2d", "turns2d"):
+        ps = ps_of(s, d, name)
+        c = kmeans.subset_kmeans(ps, 3, kmeans.first_k(ps, 3), regions=16).centroids
+        out += [(name, k, *map(float, r)) for k, r in enumerate(c)]
+    return s.createDataFrame(out, "points string, cluster_id int, c0 double, c1 double")
+
+
 # Whole embeddings; the forms on embed8 are what SQL can follow. A tree of 4 levels cuts 4 axes, of 6 levels 6: distances take all 64.
 query("featurize_embed64")(lambda s, d: ps_of(s, d, "embed64").df)
 query("kd_axis_cycle_64")(lambda s, d: tree(s, d, "embed64", 6).select("point_id", "region_id"))

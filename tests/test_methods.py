@@ -180,3 +180,96 @@ def test_whole_embeddings(spark, sf):
 def test_grid_has_all_subset_counts(spark, sf):
     rows = queries.QUERIES["grid_sse"](spark, sf).collect()
     assert len(rows) == 30 and {r.subsets for r in rows} == {5, 11, 23, 46, 93}
+
+
+@given(st.lists(st.lists(st.tuples(st.integers(-50, 50), st.integers(-50, 50)), min_size=5, max_size=30), min_size=1, max_size=12), st.sampled_from(["keep", "farthest"]), st.sampled_from(["max", "sum"]))
+@settings(max_examples=40, deadline=None)
+def test_many_at_once_is_each_alone(parts, empty, shift):
+    """Solving many subsets in one pass gives every bit that solving each gives."""
+    parts = [np.array(p, float) for p in parts]
+    c0 = np.array([[0.0, 0.0], [0.0, 0.0], [40.0, 40.0]])
+    c, labels, d2, rounds, converged = localsolver.solve_many(np.concatenate(parts), np.cumsum([0] + [len(p) for p in parts[:-1]]), c0, 15, 0.0, empty, shift)
+    at = 0
+    for k, x in enumerate(parts):
+        s = localsolver.solve(x, c0, 15, 0.0, "plain", "direct", empty, shift)
+        assert np.array_equal(s.centroids, c[k]) and (s.rounds, s.converged) == (rounds[k], converged[k])
+        assert np.array_equal(s.labels, labels[at : at + len(x)]) and np.array_equal(s.d2, d2[at : at + len(x)])
+        at += len(x)
+
+
+def test_subsets_in_batches_of_any_size(spark, sf, monkeypatch):
+    """Subsets that end within a batch or go on over several are solved whole, and one beyond the limit is refused."""
+    ps = queries.ps_of(spark, sf, "orders2d")
+    c0 = kmeans.of_ids(ps, (0, 1, 2))
+    lab = labeling.random_partition(ps.df, 7)
+    got = []
+    for together in (100_000, 300):
+        monkeypatch.setattr(subset, "TOGETHER", together)
+        got.append(sorted(map(tuple, subset.solve(lab, c0, 2, slots=3).collect())))
+    assert got[0] == got[1] and len(got[0]) == 21
+    monkeypatch.setattr(subset, "TOGETHER", 10)
+    spark.conf.set("spark.sql.execution.arrow.maxRecordsPerBatch", "50")
+    try:
+        assert sorted(map(tuple, subset.solve(lab, c0, 2, slots=3).collect())) == got[0]
+        with pytest.raises(Exception, match="ask for more subsets"):
+            subset.solve(lab, c0, 2, slots=3, most_rows=60).collect()
+    finally:
+        spark.conf.unset("spark.sql.execution.arrow.maxRecordsPerBatch")
+
+
+def test_sampled_planes_below_the_driver(spark, sf):
+    """Lower levels cut by one task a region give a whole tree of nearly even leaves."""
+    ps = queries.ps_of(spark, sf, "orders2d")
+    planes = kdtree.build_planes_sampled(ps, 6, per_leaf=64, on_driver=512)
+    assert sorted(r.node for r in planes.collect()) == list(range(1, 64))
+    sizes = [r["count"] for r in kdtree.assign_region(ps, planes, 6).groupBy("region_id").count().collect()]
+    assert len(sizes) == 64 and max(sizes) < 2 * ps.count() / 64
+
+
+def test_merging_in_groups(spark):
+    """Weighted means of points stay so over rounds of groups, and one group is plain merging."""
+    rng = np.random.default_rng(3)
+    centres = np.array([[0.0, 0.0], [100.0, 0.0], [0.0, 100.0]])
+    rows = [(i, k, *map(float, centres[k] + rng.normal(size=2)), int(rng.integers(1, 9))) for i in range(40) for k in range(3)]
+    cands = spark.createDataFrame(rows, "subset_id long, cluster_id int, c0 double, c1 double, members long")
+    got = merge.hierarchical_grouped(cands, 3, 2, fan_in=15)
+    x, w = np.array([r[2:4] for r in rows]), np.array([r[4] for r in rows], float)
+    want = np.array([np.average(x[k::3], axis=0, weights=w[k::3]) for k in range(3)])
+    order = [int(((got - c) ** 2).sum(1).argmin()) for c in want]
+    assert sorted(order) == [0, 1, 2] and np.allclose(got[order], want)
+    assert np.allclose(merge.hierarchical_distributed(cands.filter("subset_id < 4"), 3, 2, weighted=True), merge.hierarchical(cands.filter("subset_id < 4"), 3, 2, weighted=True))
+
+
+def test_pairing_is_the_cheapest():
+    import itertools
+
+    rng = np.random.default_rng(4)
+    for n in (1, 2, 5, 6):
+        cost = rng.random((n, n))
+        best = measures.cheapest_pairing(cost)
+        assert sorted(best) == list(range(n))
+        assert np.isclose(cost[np.arange(n), best].sum(), min(cost[np.arange(n), list(p)].sum() for p in itertools.permutations(range(n))))
+    a = rng.random((60, 3))
+    assert measures.centroid_match(a, a[::-1])[1] == 0
+
+
+def test_costs_of_a_run(spark, sf):
+    """The session's own records: the baseline takes a job's exchange for each round, the method a fixed number."""
+    ps = queries.ps_of(spark, sf, "gauss3k")
+    c0, n = kmeans.of_ids(ps, queries.INITIAL[1]), ps.count()
+    got = {r.run: r for r in spark.createDataFrame(queries.cost_rows(spark, ps, 1, c0, 9), queries.COST_COLUMNS).collect()}
+    method, raw, combined = got["method"], got["baseline"], got["baseline, combined"]
+    assert raw.rounds == combined.rounds == raw.exchanges == combined.exchanges and method.exchanges < raw.rounds
+    assert raw.rows_shuffled == n * raw.rounds and combined.rows_shuffled <= 4 * 8 * combined.rounds < method.rows_shuffled < raw.rows_shuffled
+    assert method.bytes_moved < raw.bytes_moved and 1 <= method.sse / raw.sse < 1.01
+    with measures.Costs(spark) as none:
+        pass
+    assert (none.jobs, none.stages, none.moved) == (0, 0, 0)
+
+
+def test_errors_grow_with_subsets(spark, sf):
+    """As published: more subsets, more error; the baseline and one machine agree."""
+    one = lambda name: queries.QUERIES[name](spark, sf).first()[0]
+    errors = [one(f"w2_sse_{m}_subsets") for m in (6, 23, 93)]
+    assert one("w1_baseline_init1") <= errors[0] < errors[1] < errors[2] * 1.05
+    assert one("w4_baseline") == one("w4_single_machine") <= one("w4_sse_58_subsets") < one("w4_sse_937_subsets")
