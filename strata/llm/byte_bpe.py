@@ -163,7 +163,7 @@ def encode(docs: DataFrame, ranks_path: str, pattern: str, id_column: str = "doc
         import numpy as np
         import pyarrow as pa
 
-        encoder = worker_cache(f"codec {ranks_path} {pattern}", lambda: Codec(parse_ranks(raw.value.splitlines()), pattern))
+        encoder = worker_cache("byte-level BPE", f"codec {ranks_path} {pattern}", lambda: Codec(parse_ranks(raw.value.splitlines()), pattern))
         for b in batches:
             flat, ends = [], [0]
             for text in b[text_column]:
@@ -182,7 +182,7 @@ def decode(encoded: DataFrame, ranks_path: str, id_column: str = "doc_id", ids_c
     schema = ", ".join(f"{c} {encoded.schema[c].dataType.simpleString()}" for c in names)
 
     def kernel(batches: Iterator[dict]) -> Iterator[dict]:
-        token = worker_cache(f"tokens {ranks_path}", lambda: {r: key for key, r in parse_ranks(raw.value.splitlines()).items()}).__getitem__
+        token = worker_cache("byte-level BPE", f"tokens {ranks_path}", lambda: {r: key for key, r in parse_ranks(raw.value.splitlines()).items()}).__getitem__
         for b in batches:
             yield {c: b[c] for c in names} | {"decoded": [b"" if ids is None else b"".join(map(token, ids.tolist())) for ids in b[ids_column]]}
 

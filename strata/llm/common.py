@@ -2,6 +2,7 @@
 
 from __future__ import annotations
 
+import gc
 import sys
 import types
 from collections.abc import Callable, Iterator
@@ -20,16 +21,24 @@ def read(spark: SparkSession, sf_dir: str, name: str) -> DataFrame:
     return spark.read.parquet(f"{sf_dir}/{name}.parquet")
 
 
-def worker_cache(key: str, make: Callable, instead_of: str | None = None):
-    """An object that lives as long as the Python worker and serves its later tasks too. With `instead_of`,
-    the name of a purpose, it replaces what was kept for that purpose under another key."""
+def worker_cache(user: str, key: str, make: Callable, instead_of: str | None = None):
+    """An object that lives as long as the Python worker and serves its later tasks too.
+
+    A worker keeps the objects of one `user`, an operator, at a time: the first call of another drops them, so stages
+    of a pipeline do not add up in memory. With `instead_of`, the name of a purpose, the object replaces what was
+    kept for that purpose under another key.
+    """
     store = sys.modules.setdefault("_strata_worker_cache", types.ModuleType("_strata_worker_cache")).__dict__
-    if instead_of and store.get(f"purpose {instead_of}") != key:
-        store.pop(store.get(f"purpose {instead_of}"), None)
-        store[f"purpose {instead_of}"] = key
-    if key not in store:
-        store[key] = make()
-    return store[key]
+    if store.get("user") != user:
+        store["user"], store["kept"], store["purposes"] = user, {}, {}
+        gc.collect()
+    kept, purposes = store["kept"], store["purposes"]
+    if instead_of and purposes.get(instead_of) != key:
+        kept.pop(purposes.get(instead_of), None)
+        purposes[instead_of] = key
+    if key not in kept:
+        kept[key] = make()
+    return kept[key]
 
 
 def materialize(df: DataFrame) -> DataFrame:
@@ -44,6 +53,13 @@ def materialize(df: DataFrame) -> DataFrame:
     return df.checkpoint(eager=True)
 
 
+def release(spark: SparkSession) -> None:
+    """Has the driver collect its garbage: shuffle files of what is no longer used stay on executors' disks until it does,
+    which on a driver with little else to do can be long after they have become the larger part."""
+    gc.collect()
+    spark.sparkContext._jvm.System.gc()
+
+
 def map_texts(df: DataFrame, columns: list[str], kernel: Callable[[Iterator[dict]], Iterator[dict]], schema: str) -> DataFrame:
     """`kernel` gets the named columns of each Arrow batch as lists, and returns columns of `schema`.
 

@@ -5,7 +5,7 @@ from __future__ import annotations
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from strata.llm.common import materialize
+from strata.llm.common import materialize, release
 
 
 def _large_star(edges: DataFrame) -> DataFrame:
@@ -38,5 +38,6 @@ def connected_components(links: DataFrame, a: str = "a", b: str = "b") -> DataFr
         if now == before or now[0] == 0:
             break
         before, edges = now, materialize(_small_star(_large_star(edges)))
+        release(edges.sparkSession)
     roots = edges.select(F.col("v").alias("id"), F.col("v").alias("component")).distinct()
     return edges.select(F.col("u").alias("id"), F.col("v").alias("component")).union(roots)

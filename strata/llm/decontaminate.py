@@ -145,7 +145,7 @@ def _matchers(items: DataFrame, item_column: str, item_text: str, settings: dict
     for block in range(n_blocks):
         part = items.filter(F.col(item_column).isNotNull() & (F.pmod(F.xxhash64(item_column, item_text), F.lit(n_blocks)) == block))
         own = items.sparkSession.sparkContext.broadcast(sorted((r[0], r[1] or "") for r in part.select(item_column, item_text).collect()))
-        made.append(lambda own=own, block=block: worker_cache(f"matcher {run} {block}", lambda: Matcher(own.value, **settings), f"matcher {block}"))
+        made.append(lambda own=own, block=block: worker_cache("decontamination", f"matcher {run} {block}", lambda: Matcher(own.value, **settings), f"matcher {block}"))
     return made
 
 

@@ -368,7 +368,7 @@ def count_tokens(docs: DataFrame, vocabulary_path: str, limit: int, id_column: s
     kind = docs.schema[id_column].dataType.simpleString()
 
     def kernel(batches: Iterator[dict]) -> Iterator[dict]:
-        counter = worker_cache(f"token counter {vocabulary_path}", lambda: Counter(vocabulary.value))
+        counter = worker_cache("token counts", f"token counter {vocabulary_path}", lambda: Counter(vocabulary.value))
         for b in batches:
             yield {id_column: b[id_column], "n_bytes": [n or 0 for n in b["n_bytes"]], "n_tokens": [counter.count(t) for t in b[text_column]]}
 
