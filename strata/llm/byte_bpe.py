@@ -21,7 +21,7 @@ from pyspark.sql import DataFrame
 from strata.llm.common import map_texts, worker_cache
 
 #: Pre-tokens in each half of what a worker remembers, and the longest it keeps.
-MOST_KNOWN, LONGEST_KNOWN = 450_000, 64
+MOST_KNOWN, LONGEST_KNOWN = 300_000, 64
 
 
 def parse_ranks(lines: Iterable[bytes]) -> dict[bytes, int]:
