@@ -71,7 +71,7 @@ def op7_kd_shards(spark: SparkSession, sf_dir: str) -> DataFrame:
 def op8_pii(spark: SparkSession, sf_dir: str) -> DataFrame:
     docs = read(spark, sf_dir, "documents")
     found = pii.find(docs, pii.fit(docs))
-    return found.select("doc_id", *(of_kind(F.col("rules"), k) for k in pii.KINDS), F.size("added").cast("long").alias("n_added"), sha_hex(pii.digest(F.col("rules"))).alias("base_sha256"), pii.digest(F.concat("rules", "added")).alias("spans"))
+    return found.select("doc_id", *(of_kind(F.col("rules"), k) for k in pii.KINDS), F.size("added").cast("long").alias("n_added"), (F.size("rules") + F.size("added")).cast("long").alias("n_spans"), sha_hex(pii.digest(F.col("rules"))).alias("base_sha256"), pii.digest(F.concat("rules", "added")).alias("spans"))
 
 
 def op9_decontamination(spark: SparkSession, sf_dir: str) -> DataFrame:
