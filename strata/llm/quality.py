@@ -2,9 +2,12 @@
 
 Fixed rules reject very short and very repetitive texts. The other measures have no
 fixed cutoff: for each language and source their distribution is kept as a sketch, a
-histogram with eight buckets to an octave, which is merged by adding counts (so from
+histogram with 32 buckets to an octave, which is merged by adding counts (so from
 tasks to sources, from sources to languages, from languages to the whole). A threshold
-is a fence over the upper quartile of the sketch; a source of few documents takes the
+is a fence: the upper quartile of the sketch and REACH times the distance between its
+quartiles. Where more than half of a group has the same value, as with measures that are
+mostly zero, the quartiles may meet; then the distance is the measure's GRAIN, so that a
+single symbol or line is not taken for an outlier. A source of few documents takes the
 sketch of its language, a language of few that of the whole. Documents meet the
 thresholds in a join. A sketch's buckets are exact integers, so results do not depend on
 partitions.
@@ -26,10 +29,12 @@ from strata.llm.common import materialize
 
 #: What separates words, and the characters that count as symbols.
 GAP, SYMBOLS = r"[\x20\x09-\x0D]+", r"[#*$%&|<>]"
-#: Measures with adaptive thresholds, and how far over the upper quartile a fence lies at least.
-MARGINS = {"symbols_per_mille": 100, "dup_lines_per_mille": 500, "word_length_x100": 1000}
-#: Times the distance from the median to the upper quartile that a fence lies over the latter.
-SPREAD = 4
+#: Measures with adaptive thresholds, and the least distance that their quartiles are taken to have.
+GRAIN = {"symbols_per_mille": 15, "dup_lines_per_mille": 80, "word_length_x100": 8}
+#: Times the distance between the quartiles that a fence lies over the upper one.
+REACH = 6
+#: Leading bits of a number that its bucket keeps.
+KEPT_BITS = 6
 #: Documents that a group needs for thresholds of its own.
 LEAST_DOCS = 100
 #: Number of groups up to which the threshold table is broadcast.
@@ -80,14 +85,14 @@ def with_ratios(d: DataFrame) -> DataFrame:
 
 
 def bucket(v: Column) -> Column:
-    """The least value of a number's bucket: numbers under 16 are their own, larger ones keep four leading bits."""
-    low = F.length(F.bin(v)) - 4
-    return F.when(v < 16, v).otherwise(F.expr("1L") * F.floor(v / F.pow(F.lit(2), low)) * F.pow(F.lit(2), low).cast("long")).cast("long")
+    """The least value of a number's bucket: small numbers are their own, larger ones keep their leading bits."""
+    low = F.length(F.bin(v)) - KEPT_BITS
+    return F.when(v < 1 << KEPT_BITS, v).otherwise(F.expr("1L") * F.floor(v / F.pow(F.lit(2), low)) * F.pow(F.lit(2), low).cast("long")).cast("long")
 
 
 def sketches(d: DataFrame) -> DataFrame:
     """(level, lang, source, measure, value, n): the merged sketches of sources, languages and the whole."""
-    pairs = F.explode(F.array(*(F.struct(F.lit(m).alias("measure"), bucket(F.col(m)).alias("value")) for m in MARGINS)))
+    pairs = F.explode(F.array(*(F.struct(F.lit(m).alias("measure"), bucket(F.col(m)).alias("value")) for m in GRAIN)))
     own = d.select("lang", "source", pairs.alias("p")).groupBy("lang", "source", F.col("p.measure").alias("measure"), F.col("p.value").alias("value")).agg(F.count("*").alias("n"))
     levels = own.withColumn("level", F.explode(F.array(F.lit(0), F.lit(1), F.lit(2))))
     lang, source = F.when(F.col("level") < 2, F.col("lang")), F.when(F.col("level") < 1, F.col("source"))
@@ -103,17 +108,16 @@ def fences(sketch: DataFrame) -> DataFrame:
     upto = F.sum("n").over(w.orderBy("value"))
     ranked = sketch.withColumn("upto", upto).withColumn("docs", F.sum("n").over(w))
     at = lambda num, den: F.min(F.when(F.col("upto") * den >= F.col("docs") * num, F.col("value")))
-    q = ranked.groupBy(*keys).agg(F.max("docs").alias("docs"), at(1, 2).alias("q50"), at(3, 4).alias("q75"))
-    margin = F.coalesce(*(F.when(F.col("measure") == m, F.lit(v)) for m, v in MARGINS.items()))
-    fence = F.col("q75") + F.greatest(margin, SPREAD * (F.col("q75") - F.col("q50")))
-    q = q.withColumn("fence", fence)
-    return q.groupBy("level", "lang", "source").agg(F.max("docs").alias("docs"), *(F.max(F.when(F.col("measure") == m, F.col("fence"))).alias(f"most_{m}") for m in MARGINS))
+    q = ranked.groupBy(*keys).agg(F.max("docs").alias("docs"), at(1, 4).alias("q25"), at(3, 4).alias("q75"))
+    grain = F.coalesce(*(F.when(F.col("measure") == m, F.lit(v)) for m, v in GRAIN.items()))
+    q = q.withColumn("fence", F.col("q75") + REACH * F.greatest(grain, F.col("q75") - F.col("q25")))
+    return q.groupBy("level", "lang", "source").agg(F.max("docs").alias("docs"), *(F.max(F.when(F.col("measure") == m, F.col("fence"))).alias(f"most_{m}") for m in GRAIN))
 
 
 def thresholds(d: DataFrame) -> DataFrame:
     """(lang, source, most_*): each source's fences, or those of its language or of all where it has few documents."""
     f = materialize(fences(sketches(d)))
-    most = [f"most_{m}" for m in MARGINS]
+    most = [f"most_{m}" for m in GRAIN]
     part = lambda level, tag: f.filter(F.col("level") == level).select(*(F.col(c).alias(f"{tag}{c}") for c in ("lang", "source", "docs", *most)))
     a, b, c = part(0, "a"), part(1, "b"), part(2, "c")
     j = a.join(b, F.col("alang").eqNullSafe(F.col("blang"))).crossJoin(F.broadcast(c))  # the whole is one row
@@ -127,7 +131,7 @@ def judged(d: DataFrame, limits: DataFrame) -> DataFrame:
         limits = F.broadcast(limits)
     j = d.join(limits, F.col("lang").eqNullSafe(F.col("_lang")) & F.col("source").eqNullSafe(F.col("_source")), "left")
     within = F.lit(True)
-    for m in MARGINS:
+    for m in GRAIN:
         within = within & F.coalesce(F.col(m) <= F.col(f"most_{m}"), F.lit(True))
     return j.withColumn("base_failed", base_failed()).withColumn("kept", ~base_failed() & within)
 
@@ -164,14 +168,14 @@ m AS (SELECT w.doc_id, lang, source, len(ws)::BIGINT n_words, length(array_to_st
   coalesce(n_repeat_words, 0)::BIGINT n_repeat_words, coalesce(n_lines, 0)::BIGINT n_lines
   FROM w LEFT JOIN r USING (doc_id) LEFT JOIN l USING (doc_id)),
 v AS (SELECT *, (1000 * n_symbols) // greatest(n_words, 1) s, (1000 * n_dup_lines) // greatest(n_lines, 1) d, (100 * word_chars) // greatest(n_words, 1) h FROM m),
-p AS (SELECT lang, source, 's' measure, 100 margin, s x FROM v UNION ALL SELECT lang, source, 'd', 500, d FROM v UNION ALL SELECT lang, source, 'h', 1000, h FROM v),
-b AS (SELECT *, CASE WHEN x < 16 THEN x ELSE (x >> (length(bin(x)) - 4)) << (length(bin(x)) - 4) END value FROM p),
-lv AS (SELECT level, CASE WHEN level < 2 THEN lang END lang, CASE WHEN level < 1 THEN source END source, measure, margin, value FROM b, (SELECT unnest([0,1,2]) level)),
-n AS (SELECT level, lang, source, measure, margin, value, count(*) n FROM lv GROUP BY ALL),
+p AS (SELECT lang, source, 's' measure, 15 grain, s x FROM v UNION ALL SELECT lang, source, 'd', 80, d FROM v UNION ALL SELECT lang, source, 'h', 8, h FROM v),
+b AS (SELECT *, CASE WHEN x < 64 THEN x ELSE (x >> (length(bin(x)) - 6)) << (length(bin(x)) - 6) END value FROM p),
+lv AS (SELECT level, CASE WHEN level < 2 THEN lang END lang, CASE WHEN level < 1 THEN source END source, measure, grain, value FROM b, (SELECT unnest([0,1,2]) level)),
+n AS (SELECT level, lang, source, measure, grain, value, count(*) n FROM lv GROUP BY ALL),
 k AS (SELECT *, sum(n) OVER (PARTITION BY level, lang, source, measure ORDER BY value) upto, sum(n) OVER (PARTITION BY level, lang, source, measure) docs FROM n),
-q AS (SELECT level, lang, source, measure, margin, max(docs) docs, min(value) FILTER (upto * 2 >= docs) q50, min(value) FILTER (upto * 4 >= docs * 3) q75 FROM k GROUP BY ALL),
-f AS (SELECT level, lang, source, max(docs) docs, max(q75 + greatest(margin, 4 * (q75 - q50))) FILTER (measure = 's') s, max(q75 + greatest(margin, 4 * (q75 - q50))) FILTER (measure = 'd') d,
-  max(q75 + greatest(margin, 4 * (q75 - q50))) FILTER (measure = 'h') h FROM q GROUP BY ALL),
+q AS (SELECT level, lang, source, measure, grain, max(docs) docs, min(value) FILTER (upto * 4 >= docs) q25, min(value) FILTER (upto * 4 >= docs * 3) q75 FROM k GROUP BY ALL),
+f AS (SELECT level, lang, source, max(docs) docs, max(q75 + 6 * greatest(grain, q75 - q25)) FILTER (measure = 's') s, max(q75 + 6 * greatest(grain, q75 - q25)) FILTER (measure = 'd') d,
+  max(q75 + 6 * greatest(grain, q75 - q25)) FILTER (measure = 'h') h FROM q GROUP BY ALL),
 z AS (SELECT a.lang, a.source, CASE WHEN a.docs >= 100 THEN a.s WHEN b.docs >= 100 THEN b.s ELSE c.s END ms, CASE WHEN a.docs >= 100 THEN a.d WHEN b.docs >= 100 THEN b.d ELSE c.d END md,
   CASE WHEN a.docs >= 100 THEN a.h WHEN b.docs >= 100 THEN b.h ELSE c.h END mh FROM f a JOIN f b ON a.level = 0 AND b.level = 1 AND a.lang IS NOT DISTINCT FROM b.lang JOIN f c ON c.level = 2)
 SELECT v.doc_id, n_words, word_chars, n_symbols, n_dup_lines, n_repeat_words, n_lines,
