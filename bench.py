@@ -1,7 +1,8 @@
 """Headline queries at $BENCH_SF_DIR on local[$BENCH_CPUS]; prints one JSON line.
 
-Per workload: rows, depth, subsets, rounds, median milliseconds by stage, the error's
-ratio to one machine, and what the event log says of jobs, shuffle and input bytes.
+Per run: rows, depth, subsets, rounds, median seconds, the error's ratio to one machine, and
+what the session's status store says of one more run: jobs, exchanges, bytes moved and rows
+shuffled, with their ratios to the baseline that sends every point to a reducer each round.
 """
 
 from __future__ import annotations
@@ -32,13 +33,21 @@ def timed(f):
 def main() -> None:
     spark = SparkSession.builder.master(f"local[{CPUS}]").config("spark.sql.shuffle.partitions", CPUS).config("spark.driver.memory", "8g").config("spark.ui.enabled", "false").config("spark.ui.showConsoleProgress", "false").config("spark.sql.session.timeZone", "UTC").getOrCreate()
     spark.sparkContext.setLogLevel("ERROR")
-    from strata.plans import kmeans
+    from strata.plans import kmeans, measures
     from strata.plans.queries import QUERIES, ps_of
     from strata.sources.fixtures import INITIAL
 
     times: dict[str, float] = {}
     runs = []
 
+    def noted(name, f, **about):
+        """Times a run, and counts what one more of it costs."""
+        s, r = timed(f)
+        with measures.Costs(spark) as c:
+            f()
+        times[name] = round(s, 3)
+        runs.append({"run": name, **about, "rounds": r.rounds or None, "sec": round(s, 3), "sse_ratio": round(kmeans.sse(ps, r.centroids).first()[0] / least, 5), "jobs": c.jobs, "exchanges": c.exchanges, "bytes_moved": c.moved, "rows_shuffled": c.shuffle_rows})
+
     for fixture, depths in (("gauss3k", (9, 7, 5)), ("gauss15k", (8, 6, 4))):
         ps = ps_of(spark, SF_DIR, fixture)
         ps = type(ps)(ps.df.persist(), ps.d)
@@ -47,15 +56,11 @@ def main() -> None:
         one = kmeans.single_machine(ps, 4, init)
         least = kmeans.sse(ps, one.centroids).first()[0]
         for combine in (True, False):
-            s, r = timed(lambda: kmeans.iterative_kmeans(ps, 4, init, combine=combine))
-            name = f"{fixture}_rounds_{'combined' if combine else 'raw'}"
-            times[name] = round(s, 3)
-            runs.append({"run": name, "n": n, "rounds": r.rounds, "sec": round(s, 3), "sse_ratio": round(kmeans.sse(ps, r.centroids).first()[0] / least, 5)})
+            noted(f"{fixture}_rounds_{'combined' if combine else 'raw'}", lambda combine=combine: kmeans.iterative_kmeans(ps, 4, init, combine=combine), n=n)
+        raw = runs[-1]
         for depth in depths:
-            s, r = timed(lambda: kmeans.subset_kmeans(ps, 4, init, regions=1 << depth, tree="sampled" if n > 100_000 else "exact", n=n))
-            name = f"{fixture}_subsets_{n >> depth}"
-            times[name] = round(s, 3)
-            runs.append({"run": name, "n": n, "depth": depth, "subsets": n >> depth, "sec": round(s, 3), "sse_ratio": round(kmeans.sse(ps, r.centroids).first()[0] / least, 5)})
+            noted(f"{fixture}_subsets_{n >> depth}", lambda depth=depth: kmeans.subset_kmeans(ps, 4, init, regions=1 << depth, tree="sampled" if n > 100_000 else "exact", n=n), n=n, depth=depth, subsets=n >> depth)
+            runs[-1] |= {f"{x}_ratio": round(runs[-1][x] / raw[x], 4) for x in ("sec", "jobs", "bytes_moved", "rows_shuffled")}
         ps.df.unpersist()
     for name in ("assign_literal", "assign_cells", "kd_region_ties", "w9_lineitem"):
         s, _ = timed(lambda: QUERIES[name](spark, SF_DIR).agg(F.count("*")).collect())
