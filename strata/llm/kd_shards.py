@@ -2,16 +2,19 @@
 
 A node that must hold several shards is split along its widest dimension, all
 dimensions being scaled to 20 bits over the whole table, at the weighted median (for an
-uneven number of shards, the matching quantile) of (value, hash of the id). The cut is
-found by radix selection: three rounds of sums per node and digit, which combine on the
-map side, so neither a hot value nor the root node gathers rows anywhere. Equal values
-are cut apart by the hash, so a group of copies can be shared between shards.
+uneven number of shards, the matching quantile) of (value, hash of the id and checksum,
+salt of the row). The cut is found by radix selection: four rounds of sums per node and
+digit, which combine on the map side, so neither a hot value nor the root node gathers
+rows anywhere. Equal values are cut apart by the hash and rows of the same id and text by
+the salt, so sizes stay near equal whatever a group of copies holds: equal texts are not
+kept in one shard, since one group of them can be larger than a shard.
 
 Only DataFrame functions are used; rows with their texts are read once, for their sizes
 and checksums, and afterwards only metadata moves.
 
 Defined results: a null text has no bytes, and size 1; null ids, languages and sources
-take part with fixed codes; repeated rows each get a slot; an empty table gives an empty
+take part with fixed codes; repeated ids and rows each get a slot, and which of equal rows
+goes where follows the split of the input; an empty table gives an empty
 result; further columns are ignored.
 """
 
@@ -25,8 +28,9 @@ from pyspark.sql import functions as F
 from strata.llm.common import materialize
 
 TOP = (1 << 20) - 1
-#: Bits of the three digits of a 40-bit key.
-DIGITS = (14, 13, 13)
+#: Bits of a row's hash and of its salt, and of the digits of a key: the value, the hash and the salt.
+HASH_BITS, SALT_BITS = 16, 14
+DIGITS = (13, 13, 12, 12)
 DIMENSIONS = ("size", "id", "lang", "source")
 
 
@@ -36,12 +40,15 @@ def _code(column):
 
 
 def described(docs: DataFrame, id_column: str = "doc_id", text_column: str = "text") -> DataFrame:
-    """(id, size, text_crc32, h, lang, source): what the tree needs, without the text."""
+    """(id, size, text_crc32, h, lang, source): what the tree needs, without the text. h is the hash and the salt."""
+    crc = F.crc32(F.coalesce(F.col(text_column), F.lit("")).cast("binary"))
+    mixed = F.shiftright(_code(F.concat_ws(" ", F.coalesce(F.col(id_column).cast("string"), F.lit("null")), crc.cast("string"))), 20 - HASH_BITS)
+    salt = F.pmod(F.xxhash64(F.monotonically_increasing_id()), F.lit(1 << SALT_BITS))
     return docs.select(
         F.col(id_column).alias("id"),
         (F.coalesce(F.octet_length(text_column), F.lit(0)).cast("long") + 1).alias("size"),
-        F.crc32(F.coalesce(F.col(text_column), F.lit("")).cast("binary")).alias("text_crc32"),
-        _code(F.col(id_column)).alias("h"),
+        crc.alias("text_crc32"),
+        (mixed * (1 << SALT_BITS) + salt).alias("h"),
         _code(F.col("lang")).alias("lang"),
         _code(F.col("source")).alias("source"),
     )
@@ -71,8 +78,8 @@ def _cuts(rows: DataFrame, dimensions: Sequence[str]) -> DataFrame:
     for bits in DIGITS:
         done += bits
         # one row per node, of which there are no more than shards
-        own = rows.join(F.broadcast(nodes), "node").withColumn("key", keyed(dimensions)).filter(F.shiftrightunsigned("key", 40 - done + bits) == F.col("prefix"))
-        sums = own.groupBy("node", "wanted", "before", "prefix", F.col("axis"), F.shiftrightunsigned("key", 40 - done).alias("digit")).agg(F.sum("size").alias("weight"))
+        own = rows.join(F.broadcast(nodes), "node").withColumn("key", keyed(dimensions)).filter(F.shiftrightunsigned("key", sum(DIGITS) - done + bits) == F.col("prefix"))
+        sums = own.groupBy("node", "wanted", "before", "prefix", F.col("axis"), F.shiftrightunsigned("key", sum(DIGITS) - done).alias("digit")).agg(F.sum("size").alias("weight"))
         upto = F.col("before") + F.sum("weight").over(Window.partitionBy("node").orderBy("digit"))
         reached = sums.withColumn("upto", upto).filter(F.col("upto") >= F.col("wanted"))
         nodes = materialize(reached.groupBy("node", "wanted", "axis").agg(F.min(F.struct("digit", "upto", "weight")).alias("x")).select("node", "wanted", "axis", F.col("x.digit").alias("prefix"), (F.col("x.upto") - F.col("x.weight")).alias("before"), F.col("x.upto").alias("upto")))
@@ -83,7 +90,7 @@ def _cuts(rows: DataFrame, dimensions: Sequence[str]) -> DataFrame:
 
 def keyed(dimensions: Sequence[str]):
     value = F.coalesce(*(F.when(F.col("axis") == k, F.col(f"q_{d}")) for k, d in enumerate(dimensions)))
-    return value * (TOP + 1) + F.col("h")
+    return value * (1 << HASH_BITS + SALT_BITS) + F.col("h")
 
 
 def assign(light: DataFrame, shards: int, dimensions: Sequence[str] = DIMENSIONS) -> DataFrame:
@@ -101,9 +108,9 @@ def assign(light: DataFrame, shards: int, dimensions: Sequence[str] = DIMENSIONS
     return rows.select(*light.columns, F.col("lo").alias("shard"))
 
 
-def with_slots(rows: DataFrame, order: Sequence[str] = ("id", "text_crc32", "size")) -> DataFrame:
-    """With `slot`, gapless from 0 in each shard: rows are numbered in 4096 parts by hash, which offsets then join."""
-    parted = rows.withColumn("part", F.shiftright("h", 8))
+def with_slots(rows: DataFrame, order: Sequence[str] = ("id", "text_crc32", "size", "h")) -> DataFrame:
+    """With `slot`, gapless from 0 in each shard: rows are numbered in 4096 parts by salt, which offsets then join."""
+    parted = rows.withColumn("part", F.pmod("h", F.lit(4096)))
     sizes = parted.groupBy("shard", "part").agg(F.count("*").alias("n"))
     offsets = sizes.select("shard", "part", (F.sum("n").over(Window.partitionBy("shard").orderBy("part")) - F.col("n")).alias("offset"))
     number = F.row_number().over(Window.partitionBy("shard", "part").orderBy(*order)) - 1
