@@ -9,8 +9,11 @@ edit distance. Nothing within the budget is missed, and nothing beyond it is rep
 The item table is the query set. Its size is measured first; it goes to the executors in
 blocks of bounded size, each of which is searched in all documents.
 
-Defined results: null and blank texts contain nothing, and null or blank items, or items
-shorter than `shortest` code points, are in no document; texts and items are compared
+Items shorter than `shortest` code points have no budget and are found as whole words only,
+between blanks or at an end of the text.
+
+Defined results: null and blank texts contain nothing, and null or blank items are in no
+document; texts and items are compared
 whole, in lower case and with each run of white space as one blank; repeated documents
 are each reported, repeated items count by id; empty tables give empty or clean results;
 further columns are ignored or, by `clean`, kept.
@@ -85,10 +88,10 @@ class Matcher:
         pieces: dict[str, list[tuple[int, int]]] = {}
         for item, text in items:
             text = plain(text)
-            if len(text) < shortest:
+            if not text:
                 continue
-            for unit in units_of(text, longest):
-                k = max(0, min(int(error_rate * len(unit)), len(unit) // piece - 1))
+            for unit in units_of(text, longest) if len(text) >= shortest else [f" {text} "]:
+                k = max(0, min(int(error_rate * len(unit)), len(unit) // piece - 1)) if len(text) >= shortest else 0
                 cuts = [j * len(unit) // (k + 1) for j in range(k + 2)]
                 for a, b in zip(cuts, cuts[1:], strict=False):
                     pieces.setdefault(unit[a:b], []).append((len(self.units), a))
@@ -103,8 +106,8 @@ class Matcher:
 
     def find(self, text: str | None) -> dict[int, int]:
         """Items of which a unit lies in the text within its budget, with the least distance."""
-        text = plain(text)
-        if not text or not self.any:
+        text = f" {plain(text)} "
+        if text.isspace() or not self.any:
             return {}
         starts: dict[int, list[int]] = {}
         for end, (n, places) in self.automaton.iter(text):
