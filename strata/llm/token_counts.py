@@ -11,8 +11,11 @@ transducer that reads characters and emits token counts on its transitions:
   lie between. Counts are kept relative, so states repeat and can be tabulated.
 
 A piece of text is then a map from entry states to (exit state, count). Such maps
-compose associatively; the maps of the chunks of one long text are joined by a prefix
-scan. White space resets the machine, so its map is constant.
+compose associatively; the maps of a text's chunks are joined by a prefix scan. White
+space brings the machine back to its start, so in a chunk's map only what stands before
+the first white space depends on the entry; the words within are whole, and the count of
+each is kept by its spelling. Tables are dropped between sections of chunks when they are
+full, and the state that leads into the next section is carried over.
 
 Defined results: null and empty texts have no tokens; texts of any length are counted
 whole; repeated rows are counted each; an empty table gives an empty result; further
@@ -35,8 +38,8 @@ from strata.llm.common import map_texts, worker_cache
 WHITE = "\x09\x0a\x0b\x0c\x0d\x20\x85\xa0\u1680\u2000\u2001\u2002\u2003\u2004\u2005\u2006\u2007\u2008\u2009\u200a\u2028\u2029\u202f\u205f\u3000"
 #: Entries after which a worker's tables are dropped and built anew.
 MOST_STATES, MOST_WORDS = 400_000, 600_000
-#: Code points of one chunk of a text.
-CHUNK = 8192
+#: Code points of one chunk of a text, and chunks that are scanned together.
+CHUNK, SECTION = 2048, 64
 
 
 def byte_letters() -> list[str]:
@@ -246,43 +249,100 @@ class Transducer:
                 return -1, count, path
         return state, count, path
 
-    def chunk_map(self, text: str) -> "ChunkMap":
-        return ChunkMap(self, text)
+    def carry(self, state: int) -> int:
+        """The state's number in tables that are begun anew."""
+        mode, merge = self.states[state]
+        key = None if merge is None else self.merge_state[merge]
+        self.reset()
+        return self._state(mode, None if key is None else self._merge(*key))
+
+    def word(self, word: str) -> int:
+        """Tokens of a run between white space, of any length."""
+        n = self.words.get(word)
+        if n is None:
+            state, n, _ = self.run(self.start, word)
+            n += self.final[state]
+            if len(word) <= 64:
+                if len(self.words) >= MOST_WORDS:
+                    self.words.clear()
+                self.words[word] = n
+        return n
 
     def count(self, text: str) -> int:
         """Tokens of a text that is already normalised."""
-        if len(text) <= CHUNK:
-            state, count, _ = self.run(self.start, text)
-        else:
-            state, count = scan([self.chunk_map(text[k : k + CHUNK]) for k in range(0, len(text), CHUNK)], self.start)[-1]
+        state, count = self.start, 0
+        for a in range(0, len(text), CHUNK * SECTION):
+            maps = [ChunkMap(self, text[k : k + CHUNK]) for k in range(a, min(len(text), a + CHUNK * SECTION), CHUNK)]
+            state, n = scan(maps, state)[-1] if len(maps) > 1 else maps[0](state)
+            count += n
+            if len(self.states) > MOST_STATES or len(self.merge_state) > MOST_STATES:
+                state = self.carry(state)
         return count + self.final[state]
 
 
+WHITE_RUN, ODD = re.compile(f"[{WHITE}]+"), re.compile(r"[\x1c-\x1f]")
+
+
 class ChunkMap:
-    """Entry state to (exit state, tokens) of one chunk. The path from the start state is kept; other
-    entries run only until they meet it, after which both go on alike."""
+    """Entry state to (exit state, tokens) of one chunk.
+
+    Up to the first white space the entry matters; what follows is one number, and the exit is that of the last run.
+    In a chunk without white space the path from the start state is kept; other entries run only until they meet it,
+    after which both go on alike."""
 
     def __init__(self, machine: Transducer, text: str):
-        self.machine, self.text = machine, text
-        exit_, count, self.path = machine.run(machine.start, text)
-        self.known = {machine.start: (exit_, count)}
+        self.machine, self.text, self.known = machine, text, {}
+        self.path: list[int] | None = None
         self.emitted: list[int] | None = None
+        words = WHITE_RUN.split(text) if ODD.search(text) else text.split()
+        self.head = text
+        if not words or len(words) > 1 or text[0] in WHITE or text[-1] in WHITE:
+            if words and text[0] in WHITE and words[0]:
+                words.insert(0, "")
+            if words and text[-1] in WHITE and words[-1]:
+                words.append("")
+            self.head = words[0] if words else ""
+            known = machine.words
+            try:
+                within = sum(map(known.__getitem__, words[1:-1]))
+            except KeyError:
+                within = sum(map(machine.word, words[1:-1]))
+            self.exit, n, _ = machine.run(machine.start, words[-1] if words else "")
+            self.rest = within + n
+        else:
+            self.exit = None
 
     def __call__(self, entry: int) -> tuple[int, int]:
         if entry not in self.known:
-            exit_, count, path = self.machine.run(entry, self.text, self.path)
-            if exit_ < 0:
-                if self.emitted is None:
-                    total, state, self.emitted = 0, self.machine.start, []
-                    for c, after in zip(self.text, self.path, strict=True):
-                        total += self.machine.step[state][c][1]
-                        self.emitted.append(total)
-                        state = after
-                end, whole = self.known[self.machine.start]
-                exit_, count = end, count + whole - self.emitted[len(path) - 1]
-            self.known[entry] = (exit_, count)
+            self.known[entry] = self._through(entry) if self.exit is None else self._into_white(entry)
         return self.known[entry]
 
+    def _into_white(self, entry: int) -> tuple[int, int]:
+        machine = self.machine
+        if entry == machine.start:
+            return self.exit, machine.word(self.head) + self.rest if self.head else self.rest
+        state, n, _ = machine.run(entry, self.head)
+        return self.exit, n + machine.final[state] + self.rest
+
+    def _through(self, entry: int) -> tuple[int, int]:
+        machine = self.machine
+        if self.path is None:
+            exit_, count, self.path = machine.run(machine.start, self.text)
+            self.known[machine.start] = (exit_, count)
+        if entry == machine.start:
+            return self.known[entry]
+        exit_, count, path = machine.run(entry, self.text, self.path)
+        if exit_ < 0:
+            if self.emitted is None:
+                total, state, self.emitted = 0, machine.start, []
+                for c, after in zip(self.text, self.path, strict=True):
+                    total += machine.step[state][c][1]
+                    self.emitted.append(total)
+                    state = after
+            exit_, whole = self.known[machine.start]
+            count += whole - self.emitted[len(path) - 1]
+        return exit_, count
+
 
 class Composed:
     """The map of two neighbouring pieces, itself a map."""
@@ -319,46 +379,20 @@ def normalise(text: str) -> str:
 
 
 class Counter:
-    """Whole texts. A run between white space enters and leaves the machine in its start state, so its
-    map is one number, kept by its spelling."""
+    """Whole texts, with the library's treatment of special strings."""
 
     def __init__(self, vocabulary: str):
         self.machine = Transducer(vocabulary)
         special = self.machine.merges.special
         self.special = re.compile("|".join(map(re.escape, special))) if special else None
-        self.white = re.compile(f"[{WHITE}]+")
-        self.odd = re.compile(r"[\x1c-\x1f]")
 
     def count(self, text: str | None) -> int:
         if not text:
             return 0
         if self.special and "<|" in text:
             parts = self.special.split(text)
-            return len(parts) - 1 + sum(map(self._plain, parts))
-        return self._plain(text)
-
-    def _plain(self, text: str) -> int:
-        text = normalise(text)
-        words = self.white.split(text) if self.odd.search(text) else text.split()
-        known = self.machine.words
-        try:
-            return sum(map(known.__getitem__, words))
-        except KeyError:
-            pass
-        total = 0
-        for w in words:
-            n = known.get(w)
-            if n is None:
-                if len(known) > MOST_WORDS:
-                    known.clear()
-                if len(self.machine.states) > MOST_STATES:
-                    self.machine.reset()
-                    known = self.machine.words
-                n = self.machine.count(w) if w else 0
-                if len(w) <= 64:
-                    known[w] = n
-            total += n
-        return total
+            return len(parts) - 1 + sum(self.machine.count(normalise(p)) for p in parts)
+        return self.machine.count(normalise(text))
 
 
 def count_tokens(docs: DataFrame, vocabulary_path: str, limit: int, id_column: str = "doc_id", text_column: str = "text") -> DataFrame:
