@@ -287,41 +287,52 @@ def trained(texts, frequent=1000):
     top = sorted(((w, n) for w, n in c.items() if n > 1), key=lambda x: (-x[1], x[0]))[:frequent]
     code = mixing.Code([w for w, _ in top], [n for _, n in top], sum(c.values()) - sum(n for _, n in top) + 1)
     tables, mixer, logs = mixing.Tables(mixing.sizes_for(len(c), 1 << 20)), mixing.Mixer(), mixing.log_table()
-    for s in mixing.stretches(code, tables, [[*mixing.tokens(t), b""] for t in texts], logs):
+    for s in mixing.stretches(code, tables, texts, logs):
         s.learn(mixer)
     return code, tables, mixer.frozen(), logs
 
 
 def test_probabilities_add_up(small):
-    """After any words, the code's words and the escape have probabilities that add up to one, and so have the first
-    bytes of a spelled word. Where a follower is guessed first, the guessed word's own place in the code is left over."""
+    """After any words, the code's words, the end and the escape have probabilities that add up to one, and so have the
+    first bytes of a spelled word. Where a follower is guessed first, the guessed word's own place is left over."""
     import numpy as np
 
     texts = [r.text for r in small.limit(60).collect()]
     code, tables, mixer, logs = trained(texts)
+    every = [w.decode() for w in code.words.to_pylist()] + ["neverseen"]
     for before in (["of", "the"], ["never", "seen"], []):
-        total = 0.0
-        for word in [*code.rank, b"\xff"]:
-            s = list(mixing.stretches(code, tables, [[w.encode() for w in before] + [word]], logs))[0]
+        total, guessed = 0.0, False
+        for word in every:
+            s = next(iter(mixing.stretches(code, tables, [" ".join([*before, word])], logs)))
+            at = len(before)
+            assert s.symbols[at] == code.symbols(mixing.split([word])[0])[0] if word else s.symbols[at] == code.end
             x, gate = s.predicted()[0]
             p = mixer.probability(x, gate)
             p = np.where(s.bits == 1, p, 1 - p)
             p[s.bits == mixing.NONE] = 1
-            own = np.log10(p).reshape(-1, 3)[s.owner == len(before)].sum() + code.tail[s.symbols[-1]]
-            total += 10 ** own if not s.hit[-1] else 0.0
-            if s.hit[-1]:
-                guessed = word
-        assert total <= 1 + 1e-4 and (total > 0.999 or guessed)
+            guessed |= bool(s.hit[at])
+            total += 0.0 if s.hit[at] else 10 ** (np.log10(p).reshape(-1, 3)[s.owner == at].sum() + code.tail[s.symbols[at]])
+        assert total <= 1 + 1e-4 and (guessed or total > 1 - 1e-4)
     total = 0.0
     for byte in range(256):
-        s = list(mixing.stretches(code, tables, [[bytes([byte]) + b"\xff\xff"]], logs))[0]
-        if len(s.byte_bits):
-            x, gate = s.predicted()[1]
-            p = mixer.probability(x, gate)[:8]
-            total += float(np.prod(np.where(s.byte_bits[:8] == 1, p, 1 - p)))
+        s = mixing.Stretch(code, tables, np.array([code.escape]), np.array([0]), [bytes([byte]) + b"xx"], [np.zeros(1, np.uint64)] * 2, logs)
+        x, gate = s.predicted()[1]
+        p = mixer.probability(x, gate)[:8]
+        total += float(np.prod(np.where(s.byte_bits[:8] == 1, p, 1 - p)))
     assert math.isclose(total, 1, abs_tol=1e-4)
 
 
+def test_words_in_arrow():
+    """Splitting many texts at once is splitting each."""
+    draw = random.Random(14)
+    texts = ["".join(draw.choices("abZ \n\t\x0b\x0c\r\x1cñÉ日\u00a0\u2003", k=draw.randint(0, 30))) for _ in range(500)] + [None, "", "   ", "x", " x "]
+    draw.shuffle(texts)
+    flat, lengths = mixing.split(texts)
+    assert lengths.tolist() == [len(mixing.tokens(t)) for t in texts] and flat.to_pylist() == [w for t in texts for w in mixing.tokens(t)]
+    flat, lengths = mixing.split([None, " "])
+    assert len(flat) == 0 and lengths.tolist() == [0, 0] and len(mixing.split([])[0]) == 0
+
+
 def test_pipeline(spark, sf, small):
     docs, counts = small, [small.count()]
     kept = []
@@ -383,8 +394,8 @@ def test_stretches_do_not_change_scores(small):
     """Cutting texts into other stretches, or scoring them alone, changes no score."""
     import numpy as np
 
-    texts = [[*mixing.tokens(r.text), b""] for r in small.limit(30).collect()]
-    code, tables, mixer, logs = trained([" ".join(w.decode() for w in t) for t in texts])
+    texts = [r.text for r in small.limit(30).collect()] + [None, "", "one"]
+    code, tables, mixer, logs = trained(texts)
     whole = np.concatenate([s.scores(mixer) for s in mixing.stretches(code, tables, texts, logs)])
     alone = np.concatenate([s.scores(mixer) for t in texts for s in mixing.stretches(code, tables, [t], logs)])
     old, mixing.STRETCH = mixing.STRETCH, 7
