@@ -8,6 +8,10 @@ fits, and else is a span alone. Each later window repeats the conversation's sys
 and a limited history before its own turns. Repeated turns are outside the loss mask, so
 every assistant text is a target once.
 
+A turn's tokens are those that a column of the caller gives for its text (a tokenizer's
+count, as `token_counts` makes it) and a quarter of its marks' bytes; without such a column
+they are an estimate, a quarter of its bytes.
+
 The template marks a turn as `### role: text </turn>`. Backslash, `#` and `<` in texts
 (and `:` in roles) become two characters that begin with a backslash, so no text can
 hold a mark, and undoing it is exact.
@@ -44,15 +48,17 @@ def unescape(c: Column) -> Column:
     return c
 
 
-def _pieces(turns: DataFrame) -> DataFrame:
+def _pieces(turns: DataFrame, tokens_column: str | None = None) -> DataFrame:
     role, text = (F.coalesce(F.col(c), F.lit("")) for c in ("role", "text"))
     head = F.concat(F.lit("### "), escape(role, True), F.lit(": "))
     body = escape(text)
-    t = turns.select("conv_id", F.col("turn").cast("long").alias("turn"), role.alias("role"), text.alias("text"), head.alias("head"), body.alias("body"))
+    counted = F.col(tokens_column).cast("long") if tokens_column else F.lit(None).cast("long")
+    t = turns.select("conv_id", F.col("turn").cast("long").alias("turn"), role.alias("role"), text.alias("text"), head.alias("head"), body.alias("body"), counted.alias("counted"))
     piece = F.concat("head", "body", F.lit(f" {END}"))
+    marks = F.ceil((F.octet_length("head") + len(END) + 1) / 4)
     return t.select(
         "conv_id", "turn", "role", "text", piece.alias("piece"), F.length("head").alias("at"), F.length("body").alias("long"),
-        F.ceil(F.octet_length(piece) / 4).cast("long").alias("tokens"), F.coalesce(F.floor(F.col("turn") / STRETCH), F.lit(1 << 60)).alias("stretch"),
+        F.coalesce(F.col("counted") + marks, F.ceil(F.octet_length(piece) / 4)).cast("long").alias("tokens"), F.coalesce(F.floor(F.col("turn") / STRETCH), F.lit(1 << 60)).alias("stretch"),
     )
 
 
@@ -67,10 +73,11 @@ def _placed(p: DataFrame) -> DataFrame:
     return j.withColumn("pos", F.col("pos") + F.col("n0")).withColumn("start", F.col("start") + F.col("s0")).drop("c", "k", "n0", "s0", "turn", "text", "stretch")
 
 
-def windows(turns: DataFrame, budget: int = 2048, history_turns: int = 2, history_tokens: int = 256) -> DataFrame:
+def windows(turns: DataFrame, budget: int = 2048, history_turns: int = 2, history_tokens: int = 256, tokens_column: str | None = None) -> DataFrame:
     """One row per window: conv_id, window (ascending in a conversation), text, n_turns, n_repeated (how many
-    of them, from the first, are repeated), tokens, over_budget and loss_spans, an array of (start, len) in code points."""
-    placed = materialize(_placed(_pieces(turns)))
+    of them, from the first, are repeated), tokens, over_budget and loss_spans, an array of (start, len) in code points.
+    Where `tokens_column` is null or not given, a turn's tokens are estimated from its bytes."""
+    placed = materialize(_placed(_pieces(turns, tokens_column)))
     system = placed.filter("role = 'system'").groupBy(F.col("conv_id").alias("c")).agg(F.min(F.struct("pos", "tokens", "piece")).alias("system"))
     same = F.col("conv_id").eqNullSafe(F.col("c"))
     room = F.greatest(F.lit(budget - history_tokens) - F.coalesce(F.col("system.tokens"), F.lit(0)), F.lit(1))

@@ -280,3 +280,15 @@ def test_op10(spark, sf, texts):
         assert (r.held_out, r.n_tokens, r.n_known, r.train_tokens) == (held[i], len(words), sum(c[w] > 0 for w in words), n)
         assert math.isclose(r.base_score, sum(math.log10((c[w] + 1) / (n + v + 1)) for w in words), rel_tol=1e-9)
         assert r.score < 0 and math.isclose(r.bits_per_byte, -r.score / math.log10(2) / sum(len(w) + 1 for w in words), rel_tol=1e-9)
+
+
+def test_turns_by_counted_tokens(spark):
+    """A tokenizer's counts decide where windows end; a null count falls back on the estimate."""
+    from strata.llm import chat
+
+    rows = [(1, k, "user" if k % 2 == 0 else "assistant", "word " * 10, 900 if k < 4 else None) for k in range(8)]
+    df = spark.createDataFrame(rows, "conv_id long, turn long, role string, text string, n long")
+    by_count = chat.windows(df, tokens_column="n").orderBy("window").collect()
+    by_bytes = chat.windows(df).collect()
+    assert len(by_bytes) == 1 and len(by_count) >= 3 and all(r.tokens <= 2048 or r.over_budget for r in by_count)
+    assert sum(r.n_turns - r.n_repeated for r in by_count) == 8
