@@ -28,6 +28,11 @@ class Result:
     def predict(self, ps: PointSet) -> DataFrame:
         return assign.by_literal(ps, self.centroids)
 
+    def release(self) -> None:
+        """Gives back what holds the candidates."""
+        if self.candidates is not None:
+            self.candidates.unpersist()
+
 
 def explicit(points: Sequence[Sequence[float]]) -> np.ndarray:
     return np.array(points, float)

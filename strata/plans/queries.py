@@ -399,8 +399,7 @@ def cost_rows(s, ps: PointSet, experiment: int, init, depth: int) -> list[tuple]
         with measures.Costs(s) as c:
             r = run()
         out.append((name, experiment, r.rounds, c.jobs, c.exchanges, c.tasks, c.ms, c.moved, c.shuffle_write, c.shuffle_rows, int(kmeans.sse(ps, r.centroids).first()[0])))
-        if r.candidates is not None:
-            r.candidates.unpersist()
+        r.release()
     return out
 
 
@@ -429,7 +428,7 @@ def w2_costs(s, d):
         with measures.Costs(s) as c:
             r = kmeans.subset_kmeans(ps, 4, init, regions=1 << depth, n=n)
         out.append((n >> depth, c.jobs, c.ms, c.run_ms, c.start_ms, c.wait_ms, c.moved, c.shuffle_rows, int(kmeans.sse(ps, r.centroids).first()[0])))
-        r.candidates.unpersist()
+        r.release()
     return s.createDataFrame(out, "subsets int, jobs int, ms int, run_ms int, start_ms int, wait_ms int, bytes_moved long, rows_shuffled long, sse long")
 
 
@@ -441,7 +440,7 @@ def cost_counted_jobs(s, d):
     for depth in (9, 7, 5):
         with measures.Costs(s) as c:
             r = kmeans.subset_kmeans(ps, 4, init, regions=1 << depth, tree="exact", n=n)
-        r.candidates.unpersist()
+        r.release()
         out.append((depth, depth + 2, c.exchanges, c.shuffle_rows, n * (depth + 2)))
     return s.createDataFrame(out, "depth int, modelled int, counted int, rows_shuffled long, rows_modelled long")
 

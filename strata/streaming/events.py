@@ -14,9 +14,9 @@ from strata.operators import assign
 SCHEMA = "event_id long, ts timestamp_ntz, user_id long, event_type string, value double, props string"
 
 
-def stream(spark: SparkSession, sf_dir: str) -> DataFrame:
+def stream(spark: SparkSession, path: str, files: str = "events.parquet", per_trigger: int = 1000) -> DataFrame:
     """The events table as a file stream. Watermarks need TIMESTAMP, so `ts` is taken in UTC."""
-    raw = spark.readStream.schema(SCHEMA).option("pathGlobFilter", "events.parquet").parquet(sf_dir)
+    raw = spark.readStream.schema(SCHEMA).option("pathGlobFilter", files).option("maxFilesPerTrigger", per_trigger).parquet(path)
     return raw.withColumn("ts", F.to_timestamp(F.concat(F.date_format("ts", "yyyy-MM-dd HH:mm:ss.SSSSSS"), F.lit("Z"))))
 
 
@@ -50,13 +50,21 @@ def running_sums(events: DataFrame, c: np.ndarray) -> DataFrame:
     return score(events, c).groupBy("cluster_id").agg(F.count("*").alias("n"), F.sum("c0").alias("s_c0"), F.sum("c1").alias("s_c1"))
 
 
-def run_to_end(df: DataFrame, name: str, mode: str = "append") -> DataFrame:
-    """Everything available, through a memory sink: for tests and small results."""
+def late_rows(query) -> int:
+    """Rows that a finished query's stateful operators left out because they came after the watermark."""
+    return sum(op["numRowsDroppedByWatermark"] for p in query.recentProgress for op in p["stateOperators"])
+
+
+def run_to_end(df: DataFrame, name: str, mode: str = "append", on_end: Callable | None = None) -> DataFrame:
+    """Everything available, through a memory sink: for tests and small results. `on_end` gets the finished query."""
     writer = df.writeStream.format("memory").queryName(name).outputMode(mode).trigger(availableNow=True)
     shared = df.sparkSession.sparkContext._jsc.sc().getCheckpointDir()
     if shared.isDefined():  # where all executors can read it
         writer = writer.option("checkpointLocation", f"{shared.get()}/{name}")
-    writer.start().awaitTermination()
+    query = writer.start()
+    query.awaitTermination()
+    if on_end:
+        on_end(query)
     return df.sparkSession.table(name)
 
 

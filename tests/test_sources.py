@@ -55,3 +55,27 @@ def test_refit_on_a_stream(spark, sf):
     events.refit(events.stream(spark, sf), fit)
     batch = kmeans.iterative_kmeans(queries.ps_of(spark, sf, "events2d"), 2, c0, max_iter=3).centroids
     assert len(fitted) == 1 and np.array_equal(fitted[0], batch)
+
+
+def test_late_rows_are_counted(spark, tmp_path):
+    """Rows behind the watermark of the batch before are left out of the windows, and their number is known."""
+    import os
+
+    path = str(tmp_path / "in")
+    for number, hours in enumerate(((1, 2, 3), (9, 10, 10), (10, 10, 11), (2, 10, 3))):
+        rows = [(10 * number + k, f"2024-01-01 {h:02}:30:00", 1, "view", 20.0, "") for k, h in enumerate(hours)]
+        one = str(tmp_path / f"f{number}")
+        spark.createDataFrame(rows, "event_id long, ts string, user_id long, event_type string, value double, props string").withColumn("ts", F.col("ts").cast("timestamp_ntz")).coalesce(1).write.parquet(one)
+        os.makedirs(path, exist_ok=True)
+        (part,) = [x for x in os.listdir(one) if x.endswith(".parquet")]
+        os.rename(f"{one}/{part}", f"{path}/{number}.parquet")
+        os.utime(f"{path}/{number}.parquet", (1_700_000_000 + number, 1_700_000_000 + number))
+    late = []
+    c = np.array([[0.0, 0.0], [9000.0, 60_000.0]])
+    scored = events.score(events.stream(spark, path, "*.parquet", 1), c)
+    got = events.run_to_end(events.counts(scored, "1 hour", late="1 hour"), "late_test", "update", lambda q: late.append(events.late_rows(q))).collect()
+    assert late == [2]
+    counted = {}
+    for r in got:
+        counted[r.start_us, r.cluster_id] = max(r.n, counted.get((r.start_us, r.cluster_id), 0))
+    assert sum(counted.values()) == 10
