@@ -11,7 +11,7 @@ from strata.operators import assign, kdtree, labeling, localsolver, merge, subse
 from strata.plans import kmeans, measures, operator_queries, queries  # noqa: F401
 from tests.conftest import same
 
-SMALL = ["scan_points", "fixture_gauss", "kd_region_exact", "kd_region_ties", "kd_planes_exact", "kd_depth", "label_axis", "label_random", "label_ragged_drop", "partition_random", "subset_candidates", "merge_min_asse", "merge_hierarchical", "subset_kmeans_flagship", "single_machine", "iter_kmeans_raw", "assign_join", "assign_cells", "sse", "coverage", "join_asof", "agg_cube", "win_rank_family", "stream_session", "edge_tree_small"]
+SMALL = ["scan_points", "fixture_gauss", "kd_region_exact", "kd_region_ties", "kd_planes_exact", "kd_depth", "label_axis", "label_random", "label_ragged_drop", "partition_random", "subset_candidates", "merge_min_asse", "merge_hierarchical", "subset_kmeans_flagship", "single_machine", "iter_kmeans_raw", "assign_join", "assign_cells", "sse", "coverage", "join_asof", "agg_cube", "win_rank_family", "stream_session", "edge_tree_small", "kd_region_widest", "merge_hierarchical_distributed", "w7_rounds", "rounds_per_subset", "cogroup_models", "udaf_asse", "w2_sse_6_subsets", "w14_labels", "edge_as_many_clusters_as_points"]
 
 
 @pytest.mark.parametrize("name", SMALL)
