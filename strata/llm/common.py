@@ -21,6 +21,19 @@ def read(spark: SparkSession, sf_dir: str, name: str) -> DataFrame:
     return spark.read.parquet(f"{sf_dir}/{name}.parquet")
 
 
+def give_back() -> None:
+    """Returns freed memory of this process to the system: allocators keep it otherwise, and a worker lives on."""
+    import ctypes
+
+    import pyarrow as pa
+
+    gc.collect()
+    pa.default_memory_pool().release_unused()
+    trim = getattr(ctypes.CDLL(None), "malloc_trim", None)
+    if trim:
+        trim(0)
+
+
 def worker_cache(user: str, key: str, make: Callable, instead_of: str | None = None):
     """An object that lives as long as the Python worker and serves its later tasks too.
 
@@ -31,7 +44,7 @@ def worker_cache(user: str, key: str, make: Callable, instead_of: str | None = N
     store = sys.modules.setdefault("_strata_worker_cache", types.ModuleType("_strata_worker_cache")).__dict__
     if store.get("user") != user:
         store["user"], store["kept"], store["purposes"] = user, {}, {}
-        gc.collect()
+        give_back()
     kept, purposes = store["kept"], store["purposes"]
     if instead_of and purposes.get(instead_of) != key:
         kept.pop(purposes.get(instead_of), None)
