@@ -147,10 +147,11 @@ def verdicts(docs: DataFrame, id_column: str = "doc_id", text_column: str = "tex
 
 
 def keep_good(docs: DataFrame, text_column: str = "text") -> DataFrame:
-    """The documents that pass, with their columns. Texts are measured twice, which spares a shuffle of them."""
+    """The documents that pass, with their columns. Texts are read twice, which spares a shuffle of them; the first time,
+    only what the sketches need is measured."""
     own = F.struct(*docs.columns)
     light = docs.select(F.col("lang"), F.col("source"), F.col(text_column).alias("_text"))
-    limits = materialize(thresholds(materialize(with_ratios(measured(light, "_text").drop("_text")))))
+    limits = materialize(thresholds(materialize(with_ratios(measured(light, "_text")).select("lang", "source", *GRAIN))))
     whole = docs.select(own.alias("_doc"), F.col("lang"), F.col("source"), F.col(text_column).alias("_text"))
     # a filter is not pushed below a row number, and so does not repeat the measures' expressions
     once = with_ratios(measured(whole, "_text").drop("_text").withColumn("_row", F.monotonically_increasing_id()))
