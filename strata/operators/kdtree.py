@@ -52,11 +52,11 @@ def build_exact(ps: PointSet, depth: int, axes: str | Sequence[int] = "cycle", p
             extents = [F.struct((F.max(c).over(w) - F.min(c).over(w)).alias("e"), F.lit(-k).alias("k")) for k, c in enumerate(ps.coords)]
             df = df.withColumn("_axis", F.greatest(*extents)["k"] if len(extents) > 1 else F.lit(0))
             df = df.withColumn("_cut", F.coalesce(*(F.when(F.col("_axis") == -k, F.col(c)) for k, c in enumerate(ps.coords))))
-            rank = F.row_number().over(w.orderBy("_cut", "point_id"))
+            order = w.orderBy("_cut", "point_id")
         else:
-            rank = F.row_number().over(w.orderBy(f"c{axis_of(level, ps.d, axes)}", "point_id"))
-        size = F.count("*").over(w)
-        df = df.withColumn("_right", (rank > F.ceil(size / 2)).cast("long")).withColumn("region_id", F.col("region_id") * 2 + F.col("_right")).drop("_right", "_axis", "_cut")
+            order = w.orderBy(f"c{axis_of(level, ps.d, axes)}", "point_id")
+        # the first of two tiles has the odd row, as a cut at rank ceil(n / 2) does
+        df = df.withColumn("_tile", F.ntile(2).over(order)).withColumn("region_id", (F.col("region_id") * 2 + F.col("_tile") - 1).cast("long")).drop("_tile", "_axis", "_cut")
     return df
 
 
