@@ -55,17 +55,24 @@ def late_rows(query) -> int:
     return sum(op["numRowsDroppedByWatermark"] for p in query.recentProgress for op in p["stateOperators"])
 
 
+def shared_folder(spark: SparkSession, name: str) -> str:
+    """A folder that the driver and all executors reach: in the session's `spark.checkpoint.dir`, or, where a session names none (tests
+    on one machine), one chosen here."""
+    context = spark.sparkContext
+    known = context._jsc.sc().getCheckpointDir()
+    return f"{known.get() if known.isDefined() else context.getConf().get('spark.checkpoint.dir') or '/tmp/checkpoints'}/{name}"
+
+
 def run_to_end(df: DataFrame, name: str, mode: str = "append", on_end: Callable | None = None) -> DataFrame:
-    """Everything available, through a memory sink: for tests and small results. `on_end` gets the finished query."""
-    writer = df.writeStream.format("memory").queryName(name).outputMode(mode).trigger(availableNow=True)
-    shared = df.sparkSession.sparkContext._jsc.sc().getCheckpointDir()
-    if shared.isDefined():  # where all executors can read it
-        writer = writer.option("checkpointLocation", f"{shared.get()}/{name}")
-    query = writer.start()
+    """Everything available. New rows (`append`) go from the executors to files in the shared folder, never through the driver;
+    the other modes use a memory sink, for tests and small results. `on_end` gets the finished query."""
+    folder = shared_folder(df.sparkSession, name)
+    writer = df.writeStream.queryName(name).outputMode(mode).trigger(availableNow=True).option("checkpointLocation", f"{folder}/state")
+    query = writer.format("parquet").start(f"{folder}/rows") if mode == "append" else writer.format("memory").start()
     query.awaitTermination()
     if on_end:
         on_end(query)
-    return df.sparkSession.table(name)
+    return df.sparkSession.read.schema(df.schema).parquet(f"{folder}/rows") if mode == "append" else df.sparkSession.table(name)
 
 
 def refit(events: DataFrame, fit: Callable[[DataFrame, int], None]) -> None:

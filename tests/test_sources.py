@@ -1,6 +1,7 @@
 """Files of points, labelled data and models; the event log's ledger; refits on streams."""
 
 import json
+import os
 
 import numpy as np
 import pytest
@@ -8,7 +9,7 @@ from pyspark.sql import functions as F
 
 from strata.functions.points import PointSet
 from strata.operators import kdtree, labeling
-from strata.plans import kmeans, measures, queries
+from strata.plans import kmeans, measures, operator_queries, queries  # noqa: F401
 from strata.sources import files
 from strata.streaming import events
 
@@ -79,3 +80,12 @@ def test_late_rows_are_counted(spark, tmp_path):
     for r in got:
         counted[r.start_us, r.cluster_id] = max(r.n, counted.get((r.start_us, r.cluster_id), 0))
     assert sum(counted.values()) == 10
+
+
+def test_a_stream_of_rows_ends_in_files(spark, sf):
+    """Rows that are as many as the events go to files that executors write, and all of them are there."""
+    got = queries.QUERIES["stream_dedup"](spark, sf)
+    assert got.inputFiles() and all("/rows/" in f for f in got.inputFiles())
+    assert sorted(r.event_id for r in got.collect()) == sorted(r.event_id for r in spark.read.parquet(f"{sf}/events.parquet").select("event_id").collect())
+    none = events.deduplicated(events.stream(spark, sf).filter("event_id < 0")).select("event_id")
+    assert events.run_to_end(none, "strata_no_rows_" + os.urandom(4).hex()).collect() == []
