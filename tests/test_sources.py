@@ -89,3 +89,13 @@ def test_a_stream_of_rows_ends_in_files(spark, sf):
     assert sorted(r.event_id for r in got.collect()) == sorted(r.event_id for r in spark.read.parquet(f"{sf}/events.parquet").select("event_id").collect())
     none = events.deduplicated(events.stream(spark, sf).filter("event_id < 0")).select("event_id")
     assert events.run_to_end(none, "strata_no_rows_" + os.urandom(4).hex()).collect() == []
+
+
+def test_scored_events_end_in_files(spark, sf, duck):
+    """Every scored event is in the files, with the statement's cluster."""
+    from tests.conftest import same
+
+    got = queries.QUERIES["stream_score"](spark, sf)
+    assert got.inputFiles() and all("/rows/" in f for f in got.inputFiles())
+    a, b = same(got, duck, queries.ORACLES["stream_score"])
+    assert a == b and a
