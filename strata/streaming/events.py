@@ -64,15 +64,22 @@ def shared_folder(spark: SparkSession, name: str) -> str:
 
 
 def run_to_end(df: DataFrame, name: str, mode: str = "append", on_end: Callable | None = None) -> DataFrame:
-    """Everything available. New rows (`append`) go from the executors to files in the shared folder, never through the driver;
-    the other modes use a memory sink, for tests and small results. `on_end` gets the finished query."""
-    folder = shared_folder(df.sparkSession, name)
+    """Everything available. New rows (`append`) and whole results (`complete`, the last batch's) go from the executors to files in
+    the shared folder, never through the driver; `update` uses a memory sink, for tests. `on_end` gets the finished query."""
+    spark, folder = df.sparkSession, shared_folder(df.sparkSession, name)
+    rows = f"{folder}/rows"
     writer = df.writeStream.queryName(name).outputMode(mode).trigger(availableNow=True).option("checkpointLocation", f"{folder}/state")
-    query = writer.format("parquet").start(f"{folder}/rows") if mode == "append" else writer.format("memory").start()
+    if mode == "append":
+        query = writer.format("parquet").start(rows)
+    elif mode == "complete":
+        spark.createDataFrame([], df.schema).write.parquet(rows)  # where no batch comes
+        query = writer.foreachBatch(lambda batch, number: batch.write.mode("overwrite").parquet(rows)).start()
+    else:
+        query = writer.format("memory").start()
     query.awaitTermination()
     if on_end:
         on_end(query)
-    return df.sparkSession.read.schema(df.schema).parquet(f"{folder}/rows") if mode == "append" else df.sparkSession.table(name)
+    return spark.table(name) if mode == "update" else spark.read.schema(df.schema).parquet(rows)
 
 
 def refit(events: DataFrame, fit: Callable[[DataFrame, int], None]) -> None:

@@ -99,3 +99,14 @@ def test_scored_events_end_in_files(spark, sf, duck):
     assert got.inputFiles() and all("/rows/" in f for f in got.inputFiles())
     a, b = same(got, duck, queries.ORACLES["stream_score"])
     assert a == b and a
+
+
+@pytest.mark.parametrize("name", ["stream_session", "stream_tumbling", "stream_sliding", "stream_running_centroids", "stream_static_join"])
+def test_whole_results_of_a_stream_end_in_files(spark, sf, duck, name):
+    """A result that is given whole with each batch lies in files, and is the statement's."""
+    from tests.conftest import same
+
+    got = queries.QUERIES[name](spark, sf)
+    assert got.inputFiles() and all("/rows/" in f for f in got.inputFiles())
+    a, b = same(got, duck, queries.ORACLES[name])
+    assert a == b and a
