@@ -273,3 +273,28 @@ def test_errors_grow_with_subsets(spark, sf):
     errors = [one(f"w2_sse_{m}_subsets") for m in (6, 23, 93)]
     assert one("w1_baseline_init1") <= errors[0] < errors[1] < errors[2] * 1.05
     assert one("w4_baseline") == one("w4_single_machine") <= one("w4_sse_58_subsets") < one("w4_sse_937_subsets")
+
+
+@given(st.lists(st.tuples(st.integers(-4, 4), st.integers(-4, 4)), min_size=2, max_size=40), st.integers(1, 3), st.booleans())
+@settings(max_examples=80, deadline=None)
+def test_merging_takes_the_least_pair_each_time(points, k, weighted):
+    """Against all pairs looked at anew in each step, ties included."""
+    c, w = np.array(points, float) * 0.3, np.arange(1, len(points) + 1) % 4
+    left = {i: (row, float(w[i])) for i, row in enumerate(c)}
+    number = len(c)
+    while len(left) > k:
+        _, i, j = min((sum((a - b) * (a - b) for a, b in zip(left[i][0], left[j][0], strict=True)), i, j) for i in left for j in left if i < j)
+        (a, u), (b, v) = left.pop(i), left.pop(j)
+        left[number] = ((a * u + b * v) / (u + v) if weighted and u + v else (a + b) / 2, u + v)
+        number += 1
+    got, weight = merge.hierarchical_weighted(c, k, w, weighted)
+    assert np.array_equal(got, np.array([left[i][0] for i in sorted(left)])) and weight.tolist() == [left[i][1] for i in sorted(left)]
+
+
+def test_merging_thousands_is_quick():
+    import time
+
+    c = np.random.default_rng(5).normal(size=(merge.MOST_CANDIDATES, 2))
+    began = time.process_time()
+    assert merge.hierarchical_array(c, 4).shape == (4, 2)
+    assert time.process_time() - began < 8
