@@ -298,3 +298,16 @@ def test_merging_thousands_is_quick():
     began = time.process_time()
     assert merge.hierarchical_array(c, 4).shape == (4, 2)
     assert time.process_time() - began < 8
+
+
+@pytest.mark.parametrize("axes", ["cycle", "widest", [1, 0, 0]])
+def test_deep_trees_are_exact(spark, sf, axes, monkeypatch):
+    """Top levels by planes and the others inside tasks give the regions of the level-by-level tree."""
+    ps = queries.ps_of(spark, sf, "customer2d")
+    want = {(r.point_id, r.region_id) for r in kdtree.build_exact(ps, 7, axes if axes != [1, 0, 0] else (1, 0, 0)).select("point_id", "region_id").collect()}
+    for per_task in (200, 100_000):
+        got = kdtree.build_deep(ps, 7, axes, per_task)
+        assert {(r.point_id, r.region_id) for r in got.select("point_id", "region_id").collect()} == want
+    monkeypatch.setattr(kmeans, "AUTO_EXACT", 100)
+    monkeypatch.setattr(kdtree, "build_planes_exact", lambda *a, **k: pytest.fail("a level that a task can hold is cut by scans of all points"))
+    assert kmeans.subset_kmeans(ps, 2, kmeans.of_ids(ps, (1, 2)), subsets=5, how="hierarchical").centroids.shape == (2, 2)
