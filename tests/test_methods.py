@@ -311,3 +311,32 @@ def test_deep_trees_are_exact(spark, sf, axes, monkeypatch):
     monkeypatch.setattr(kmeans, "AUTO_EXACT", 100)
     monkeypatch.setattr(kdtree, "build_planes_exact", lambda *a, **k: pytest.fail("a level that a task can hold is cut by scans of all points"))
     assert kmeans.subset_kmeans(ps, 2, kmeans.of_ids(ps, (1, 2)), subsets=5, how="hierarchical").centroids.shape == (2, 2)
+
+
+def test_one_machine_is_a_task(spark, sf, monkeypatch):
+    """The points of one machine are held by a task, not by the driver, and its limit is a worker's."""
+    import inspect
+
+    import pyspark.sql.classic.dataframe as frames
+
+    assert inspect.signature(kmeans.single_machine).parameters["most"].default == subset.MOST_ROWS >= 9_000_000
+    ps = queries.ps_of(spark, sf, "gauss_events")
+    x, c0 = ps.df.orderBy("point_id").select("c0", "c1").toPandas().to_numpy(float), kmeans.of_ids(ps, queries.INITIAL[1])
+    want = localsolver.solve(x, c0)
+    monkeypatch.setattr(frames.DataFrame, "toPandas", lambda self: pytest.fail("points on the driver"))
+    got = kmeans.single_machine(ps, 4, c0)
+    assert np.array_equal(got.centroids, want.centroids) and got.rounds == want.rounds
+    monkeypatch.setattr(localsolver, "ROWS_AT_ONCE", 77)
+    again = localsolver.solve(x, c0)
+    assert np.array_equal(again.centroids, want.centroids) and np.array_equal(again.d2, want.d2)
+
+
+def test_rounds_without_a_limit():
+    """A row of points along which the centroids creep takes over 100 rounds, and ends converged."""
+    x = np.arange(3000.0)[:, None]
+    c0 = x[:8]
+    assert not localsolver.solve(x, c0, 100).converged
+    one = localsolver.solve(x, c0, None)
+    assert one.converged and one.rounds > 100 and np.array_equal(localsolver.solve(x, one.centroids, 1).centroids, one.centroids)
+    c, _, _, rounds, converged = localsolver.solve_many(np.concatenate([x, x[:9]]), np.array([0, len(x)]), c0, None)
+    assert converged.all() and rounds[0] == one.rounds and np.array_equal(c[0], one.centroids)
