@@ -340,3 +340,11 @@ def test_rounds_without_a_limit():
     assert one.converged and one.rounds > 100 and np.array_equal(localsolver.solve(x, one.centroids, 1).centroids, one.centroids)
     c, _, _, rounds, converged = localsolver.solve_many(np.concatenate([x, x[:9]]), np.array([0, len(x)]), c0, None)
     assert converged.all() and rounds[0] == one.rounds and np.array_equal(c[0], one.centroids)
+
+
+@pytest.mark.parametrize("name", ["cost_model_jobs", "cost_model_merge", "cost_model_volume", "cost_model_width", "kd_depth", "udtf_plan", "gauss_source"])
+def test_models_take_their_sizes_from_a_table(spark, sf, duck, name):
+    df = queries.QUERIES[name](spark, sf)
+    assert any(f.endswith((".parquet")) for f in df.inputFiles())
+    a, b = same(df, duck, queries.ORACLES[name])
+    assert a == b and a
