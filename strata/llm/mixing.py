@@ -48,8 +48,6 @@ from strata.llm.near_dup import LOWER
 ODD = (0x9E3779B97F4A7C15, 0xBF58476D1CE4E5B9, 0x94D049BB133111EB, 0xD6E8FEB86659FD93)
 #: Words of a stretch that is predicted at once, and bits of a batch that the mixer learns from at once.
 STRETCH, BATCH = 16_384, 8192
-#: Of as many stretches, wherever they lie, the mixer learns from one; the tables learn from all.
-MIXED = 4
 #: Inputs of the mixer, sets of weights (of words' bits, then of bytes' bits), and places of the refining table.
 INPUTS, WORD_SETS, BYTE_SETS, APM = 2, 12, 16, 33
 SETS = WORD_SETS + BYTE_SETS
@@ -585,14 +583,13 @@ def _learned(training: DataFrame, text_column: str, code, sizes: tuple[int, int,
     groups = max(1, math.isqrt(cores))
 
     def kernel(batches: Iterator[dict]) -> Iterator[dict]:
-        tables, mixer, logs, n, part, at = Tables(sizes), Mixer(), log_table(), 0, 0, -1
+        tables, mixer, logs, n, part = Tables(sizes), Mixer(), log_table(), 0, 0
         own = worker_code(code, run)
         for b in batches:
             part = b["part"][0] if b["part"] else part
             for some in ranges(b[text_column]):
                 for s in stretches(own, tables, b[text_column][some], logs):
-                    at += 1
-                    n += s.learn(mixer if at % MIXED == 0 else None)
+                    n += s.learn(mixer)
         if n:
             for block, content in _parts(tables):
                 yield {"block": [block], "part": [part], "n": [n], "content": [content]}

@@ -412,3 +412,18 @@ def test_written_out_addresses(spark, small):
     assert "jane at example.com" in spans[0] and "jane at example.com" in spans[1]
     added = {r.doc_id: [texts[r.doc_id][x.start : x.end] for x in r.added] for r in pii.find(df, pii.fit(small)).collect()}
     assert added == {0: ["jane at example.com"], 1: ["jane at example.com"], 2: ["bob (at) example (dot) org"], 3: [], 4: []}
+
+
+def test_mixer_learns_from_every_stretch(spark):
+    """What lies past the first stretch of a partition changes the mixer's weights too."""
+    import numpy as np
+
+    one, two = " ".join(f"a{k % 97}" for k in range(mixing.STRETCH)), " ".join(f"a{k * k % 89}" for k in range(mixing.STRETCH))
+    counts = collections.Counter(mixing.tokens(one) + mixing.tokens(two))
+    names = sorted(counts)
+    code = spark.sparkContext.broadcast((names, np.array([counts[w] for w in names]), 1))
+    got = []
+    for k, texts in enumerate(([one], [one, two])):
+        df = spark.createDataFrame([(t,) for t in texts], "text string").coalesce(1)
+        got.append(mixing._learned(df, "text", code, (12, 12, 12), f"stretches {k}")[1])
+    assert not np.array_equal(got[0].settled, got[1].settled)
