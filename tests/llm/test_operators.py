@@ -423,7 +423,7 @@ def test_mixer_learns_from_every_stretch(spark):
     names = sorted(counts)
     code = spark.sparkContext.broadcast((names, np.array([counts[w] for w in names]), 1))
     got = []
-    for k, texts in enumerate(([one], [one, two])):
+    for k, texts in enumerate(([one], [f"{one} {two}"])):
         df = spark.createDataFrame([(t,) for t in texts], "text string").coalesce(1)
         got.append(mixing._learned(df, "text", code, (12, 12, 12), f"stretches {k}")[1])
     assert not np.array_equal(got[0].settled, got[1].settled)
