@@ -313,6 +313,38 @@ def test_deep_trees_are_exact(spark, sf, axes, monkeypatch):
     assert kmeans.subset_kmeans(ps, 2, kmeans.of_ids(ps, (1, 2)), subsets=5, how="hierarchical").centroids.shape == (2, 2)
 
 
+@pytest.mark.parametrize("kind", ["integers", "fractions", "equal", "far"])
+def test_deep_trees_of_any_numbers(spark, kind, monkeypatch):
+    """The cuts of the top levels are exact for fractions, equal values and wide ranges too, whether few or no rows may be looked
+    through on the driver."""
+    h, i = F.xxhash64("id"), F.col("id")
+    c0, c1, point_id = {"integers": (h % 1000, i % 50, i), "fractions": (h % 1000 / 1000.0, i % 50 / 1e5, i), "equal": (F.lit(5).cast("long"), i % 3, h), "far": (F.when(i % 2 == 0, 0).otherwise(i * 1_000_000_007), i - 2**60, -i)}[kind]
+    ps = PointSet(spark.range(2000).select(point_id.alias("point_id"), c0.alias("c0"), c1.alias("c1")), 2)
+    want = {(r.point_id, r.region_id) for r in kdtree.build_exact(ps, 5).select("point_id", "region_id").collect()}
+    for few in (100_000, 0):
+        monkeypatch.setattr(kdtree, "LOOKED_THROUGH", few, raising=False)
+        got = kdtree.build_deep(ps, 5, per_task=200)
+        assert {(r.point_id, r.region_id) for r in got.select("point_id", "region_id").collect()} == want
+
+
+def test_a_deep_tree_takes_few_jobs(spark, sf, monkeypatch):
+    """A level is a count and a look at the rows of one bin, no more; points that are made are kept until the subsets are solved, and
+    then given back, but not those that the caller keeps."""
+    ps = queries.ps_of(spark, sf, "customer2d")
+    top = (ps.count() // 100).bit_length()
+    with measures.Costs(spark) as c:
+        kdtree.build_deep(ps, 7, per_task=100)
+    assert top >= 3 and c.jobs <= 5 * top + 6
+    monkeypatch.setattr(kmeans, "AUTO_EXACT", 100)
+    for kept in (False, True):
+        if kept:
+            ps.df.persist()
+        r = kmeans.subset_kmeans(ps, 2, kmeans.of_ids(ps, (1, 2)), regions=16, asse="dist")
+        assert ps.df.storageLevel.useMemory == kept
+        r.release()
+    ps.df.unpersist()
+
+
 def test_one_machine_is_a_task(spark, sf, monkeypatch):
     """The points of one machine are held by a task, not by the driver, and its limit is a worker's."""
     import inspect
